@@ -44,12 +44,26 @@ def piece_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op.round_trip(read_table(spark, sf_dir, "documents"), piece_model_path())
 
 
+def near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import simhash as op
+
+    return op.near_duplicates(read_table(spark, sf_dir, "documents"))
+
+
+def decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import decontaminate as op
+
+    return op.find_items(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark"))
+
+
 def queries() -> dict[str, Query]:
     return {
         "op1_toxicity": toxicity,
+        "op5_simhash": near_duplicates,
         "op7_quality_classifier": quality_classifier,
         "op8_secret_scan": secret_scan,
         "op9_piece_round_trip": piece_round_trip,
+        "op10_decontamination": decontamination,
     }
 
 
