@@ -44,6 +44,13 @@ def piece_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op.round_trip(read_table(spark, sf_dir, "documents"), piece_model_path())
 
 
+def quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import quality_rules as op
+
+    docs = read_table(spark, sf_dir, "documents")
+    return op.judge(docs, op.fit(docs, read_table(spark, sf_dir, "labels")))
+
+
 def near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import simhash as op
 
@@ -60,6 +67,7 @@ def queries() -> dict[str, Query]:
     return {
         "op1_toxicity": toxicity,
         "op5_simhash": near_duplicates,
+        "op6_quality_rules": quality_rules,
         "op7_quality_classifier": quality_classifier,
         "op8_secret_scan": secret_scan,
         "op9_piece_round_trip": piece_round_trip,
