@@ -6,6 +6,7 @@ of documents is tokenised by a handful of numpy passes and not word by word.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -47,7 +48,7 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def slices(batches: Iterable[pa.RecordBatch], column: str, max_bytes: int = 4 << 20, max_rows: int = 4096) -> Iterator[pa.RecordBatch]:
+def slices(batches: Iterable[pa.RecordBatch], column: str, max_bytes: int = 1 << 20, max_rows: int = 4096) -> Iterator[pa.RecordBatch]:
     """Cut batches so that no piece holds over ``max_bytes`` of ``column`` unless a single row does."""
     for batch in batches:
         n = batch.num_rows
@@ -143,9 +144,19 @@ def held_out(doc_id, modulus: int, remainder: int):
     return (F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")) % modulus) == remainder
 
 
+def small_batches(df: DataFrame, size: int = 4 << 20) -> DataFrame:
+    """The same rows; has the session hand texts to Python in Arrow batches of at most ``size`` bytes."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    conf = df.sparkSession.conf
+    now = int(re.sub(r"\D", "", conf.get(key)) or 0) if re.fullmatch(r"\d+b?", conf.get(key)) else 0
+    if now <= 0 or now > size:
+        conf.set(key, f"{size}b")
+    return df
+
+
 def plain_documents(docs: DataFrame) -> DataFrame:
     """doc_id and text only, whatever else the table carries."""
-    return docs.select("doc_id", F.coalesce(F.col("text"), F.lit("")).alias("text"))
+    return small_batches(docs).select("doc_id", F.coalesce(F.col("text"), F.lit("")).alias("text"))
 
 
 def sample_labelled(labels: DataFrame, target: str, rows: int, seed: int = 17) -> DataFrame:

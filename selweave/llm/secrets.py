@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import plain_documents, slices
+from .common import plain_documents, slices, small_batches
 
 # The base patterns and the least lengths.
 ASSIGN = r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
@@ -185,7 +185,7 @@ def redact(docs: DataFrame, mask: str = "[SECRET]") -> DataFrame:
             columns[at] = pa.array([None if t is None else redact_text(t, mask) for t in batch.column(at).to_pylist()], batch.schema.field(at).type)
             yield pa.RecordBatch.from_arrays(columns, schema=batch.schema)
 
-    out = docs.mapInArrow(run, fields)
+    out = small_batches(docs).mapInArrow(run, fields)
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(F.col("text").isNull(), F.col("n_chars")).otherwise(F.length("text")).cast(fields["n_chars"].dataType))
     return out
