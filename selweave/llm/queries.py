@@ -51,6 +51,12 @@ def quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op.judge(docs, op.fit(docs, read_table(spark, sf_dir, "labels")))
 
 
+def suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import suffix_dedup as op
+
+    return op.remove_repeats(read_table(spark, sf_dir, "documents"))
+
+
 def near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import simhash as op
 
@@ -66,6 +72,7 @@ def decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Query]:
     return {
         "op1_toxicity": toxicity,
+        "op3_suffix_dedup": suffix_dedup,
         "op5_simhash": near_duplicates,
         "op6_quality_rules": quality_rules,
         "op7_quality_classifier": quality_classifier,
