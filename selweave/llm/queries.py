@@ -57,6 +57,12 @@ def suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op.remove_repeats(read_table(spark, sf_dir, "documents"))
 
 
+def attention_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import lm as op
+
+    return op.score(spark, read_table(spark, sf_dir, "documents"), piece_model_path())
+
+
 def near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import simhash as op
 
@@ -73,6 +79,7 @@ def queries() -> dict[str, Query]:
     return {
         "op1_toxicity": toxicity,
         "op3_suffix_dedup": suffix_dedup,
+        "op4_attention_lm": attention_lm,
         "op5_simhash": near_duplicates,
         "op6_quality_rules": quality_rules,
         "op7_quality_classifier": quality_classifier,
