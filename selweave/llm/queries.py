@@ -63,6 +63,12 @@ def attention_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op.score(spark, read_table(spark, sf_dir, "documents"), piece_model_path())
 
 
+def chained_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import chains as op
+
+    return op.shared_passages(read_table(spark, sf_dir, "documents"))
+
+
 def near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import simhash as op
 
@@ -78,6 +84,7 @@ def decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Query]:
     return {
         "op1_toxicity": toxicity,
+        "op2_chained_passages": chained_passages,
         "op3_suffix_dedup": suffix_dedup,
         "op4_attention_lm": attention_lm,
         "op5_simhash": near_duplicates,
