@@ -108,7 +108,7 @@ def compact(codes: DataFrame, attrs: list[str]) -> DataFrame:
 
 def binary_bits(dic: Dictionary) -> Column:
     """Array of 0/1: each code by its bits, most significant first; one-value domains take none."""
-    parts = [F.transform(F.sequence(F.lit(b - 1), F.lit(0), F.lit(-1)), lambda i, a=a: F.shiftright(F.col(a), i).bitwiseAND(F.lit(1))) for a, b in dic.bits().items() if b > 0]
+    parts = [F.array(*(F.shiftright(F.col(a), i).bitwiseAND(F.lit(1)) for i in range(b - 1, -1, -1))) for a, b in dic.bits().items() if b > 0]
     return F.flatten(F.array(*parts)) if parts else F.array().cast("array<int>")
 
 
