@@ -114,7 +114,7 @@ def binary_bits(dic: Dictionary) -> Column:
 
 def one_hot(dic: Dictionary) -> Column:
     """Array of 0/1 with one slot a value."""
-    return F.flatten(F.array(*(F.transform(F.sequence(F.lit(0), F.lit(c - 1)), lambda i, a=a: (F.col(a) == i).cast("int")) for a, c in dic.cards.items() if c > 0)))
+    return F.flatten(F.array(*(F.expr(f"transform(sequence(0, {c - 1}), i -> int(`{a}` = i))") for a, c in dic.cards.items() if c > 0)))
 
 
 def encoding_width(dic: Dictionary, kind: str = "binary") -> int:

@@ -50,7 +50,8 @@ def _combo(spark: SparkSession, r: Relation, total: int = TOTAL, seed: int = 42,
 
 
 def _rounded(df: DataFrame, *names: str, digits: int = 4) -> DataFrame:
-    return df.select(*((F.round(c, digits) + F.lit(0.0)).alias(c) if c in names else F.col(c) for c in df.columns))
+    """Rounded columns; lifted a little first, so that ties fall alike in any engine."""
+    return df.select(*((F.round(F.col(c) * F.lit(1.000000001), digits) + F.lit(0.0)).alias(c) if c in names else F.col(c) for c in df.columns))
 
 
 BOX = ("p05", "p25", "p50", "p75", "p95", "mean", "max")
@@ -506,19 +507,19 @@ def oracle_sql() -> dict[str, str]:
     out["s12_attribute_weights"] = f"{combo} SELECT c.attr, round(count(lo) / (SELECT count(*) FROM w), 6) AS weight FROM c LEFT JOIN w USING (attr) GROUP BY c.attr"
     out["s12_value_weights"] = f"{combo}, x AS (SELECT d.attr, code, greatest(count(w.lo), 1) AS n FROM d LEFT JOIN w ON w.attr = d.attr AND w.lo = d.code GROUP BY d.attr, code) SELECT attr, code, round(n / sum(n) OVER (PARTITION BY attr), 6) AS weight FROM x"
     out["s12_predicate_counts"] = f"{combo} SELECT k, count(*) AS n, round(count(*) / sum(count(*)) OVER (), 6) AS share FROM ids GROUP BY k"
-    out["b2_independence"] = f"{independent} SELECT qid, round(est_rows, 3) AS est_rows FROM est"
+    out["b2_independence"] = f"{independent} SELECT qid, {sql.rnd('est_rows', 3)} AS est_rows FROM est"
     attrs = sql.attrs_of("shipments")
     sample_wide = "q AS (SELECT qid, " + ", ".join(f"max(CASE WHEN attr = '{a}' THEN lo END) AS q_{a}" for a in attrs) + " FROM w GROUP BY qid)"
     hit = " AND ".join(f"(q_{a} IS NULL OR q_{a} = s.{a})" for a in attrs)
     sampled = f"{combo}, {sql.sampled('shipments')}, {sample_wide}, total AS (SELECT sum(mult) AS n FROM t), size AS (SELECT sum(mult) AS m FROM s), est AS (SELECT qid, coalesce(sum(s.mult), 0) * any_value(n) / any_value(greatest(m, 1)) AS est_rows FROM q CROSS JOIN total CROSS JOIN size LEFT JOIN s ON {hit} GROUP BY qid)"
-    out["b3_sample"] = f"{sampled} SELECT qid, round(est_rows, 3) AS est_rows FROM est"
-    out["b3a_sample_constant"] = f"{sampled} SELECT qid, round(CASE WHEN est_rows > 0 THEN est_rows ELSE n * power(0.1, k) END, 3) AS est_rows FROM est JOIN ids USING (qid), total"
+    out["b3_sample"] = f"{sampled} SELECT qid, {sql.rnd('est_rows', 3)} AS est_rows FROM est"
+    out["b3a_sample_constant"] = f"{sampled} SELECT qid, {sql.rnd('CASE WHEN est_rows > 0 THEN est_rows ELSE n * power(0.1, k) END', 3)} AS est_rows FROM est JOIN ids USING (qid), total"
     bucket = "CASE WHEN true_rows / n >= 0.05 THEN '1: 5% or more' WHEN true_rows / n >= 0.01 THEN '2: 1% to 5%' WHEN true_rows / n >= 0.001 THEN '3: 0.1% to 1%' ELSE '4: under 0.1%' END"
     out["w4_independence_by_count"] = f"{independent}, {sql.ERRORS} {sql.box('k')}"
     out["w5_independence_by_selectivity"] = f"{independent}, {sql.ERRORS}, e2 AS (SELECT errors.*, {bucket} AS bucket FROM errors, total) {sql.box('bucket', 'e2')}"
     out["w25_sample_by_selectivity"] = f"{sampled}, {sql.ERRORS}, e2 AS (SELECT errors.*, {bucket} AS bucket FROM errors, total) {sql.box('bucket', 'e2')}"
     out["w6_independence_by_joint_size"] = f"{independent}, {sql.ERRORS}, z AS (SELECT qid, CAST(floor(sum(log10(card)) + 1e-9) AS INT) AS decade FROM w JOIN c USING (attr) GROUP BY qid), e2 AS (SELECT * FROM errors JOIN z USING (qid)) {sql.box('decade', 'e2')}"
-    out["d2_measures"] = f"{independent}, {sql.ERRORS} SELECT qid, round(qerr, 4) AS qerr, round(log10(qerr), 4) AS log_qerr, round(abs(est_rows - true_rows) / greatest(true_rows, 1.0), 4) AS rel FROM errors"
+    out["d2_measures"] = f"{independent}, {sql.ERRORS} SELECT qid, {sql.rnd('qerr', 4)} AS qerr, {sql.rnd('log10(qerr)', 4)} AS log_qerr, {sql.rnd('abs(est_rows - true_rows) / greatest(true_rows, 1.0)', 4)} AS rel FROM errors"
     small = f"{b('dialog')}, {sql.ranged('dialog', sql.attrs_of('dialog'), 40)}"
     out["u12_enumerate_joint"] = f"{small} SELECT qid, CAST(true_rows AS DOUBLE) AS est_rows FROM truth"
     out["b6_haar_exact"] = f"{ships}, {sql.ranged('shipments', ['oyear', 'price_band'], 60)} SELECT qid, CAST(true_rows AS DOUBLE) AS est_rows FROM truth"
