@@ -19,8 +19,8 @@ def events_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def hourly(stream: DataFrame, lateness: str = "1 hour") -> DataFrame:
     """Counts and sums of one-hour windows; rows later than the watermark are dropped."""
-    windows = stream.withWatermark("ts", lateness).groupBy(F.window("ts", "1 hour").alias("w"), "event_type")
-    return windows.agg(F.count("*").alias("n"), F.sum("value").alias("total")).select(F.col("w.start").alias("hour"), "event_type", "n", F.round("total", 2).alias("total"))
+    windows = stream.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", lateness).groupBy(F.window("ts", "1 hour").alias("w"), "event_type")
+    return windows.agg(F.count("*").alias("n"), F.sum("value").alias("total")).select(F.col("w.start").cast("timestamp_ntz").alias("hour"), "event_type", "n", F.round("total", 2).alias("total"))
 
 
 def hourly_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
