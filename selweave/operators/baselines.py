@@ -43,7 +43,9 @@ def md5_sample(codes: DataFrame, attrs: list[str], share: float = 0.01, seed: in
     """Bernoulli sample that any engine repeats: equal rows are numbered, and each row's md5 draw decides."""
     key = F.concat_ws("|", *(F.col(a).cast("string") for a in attrs))
     numbered = codes.groupBy(*attrs).agg(F.sum("mult").alias("mult") if "mult" in codes.columns else F.count("*").alias("mult"))
-    rows = numbered.select(*attrs, F.explode(F.sequence(F.lit(1).cast("long"), F.col("mult"))).alias("copy"))
+    step = F.lit(1 << 16)  # a tuple of many copies is numbered in blocks, so no array grows with the data
+    blocks = numbered.select(*attrs, "mult", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("mult") - 1) / step))).alias("block"))
+    rows = blocks.select(*attrs, F.explode(F.sequence(F.col("block") * step + 1, F.least(F.col("mult"), (F.col("block") + 1) * step))).alias("copy"))
     return rows.where(uniform(seed, key, F.col("copy")) < share).groupBy(*attrs).agg(F.count("*").alias("mult"))
 
 

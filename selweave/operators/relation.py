@@ -143,9 +143,14 @@ def joint_entropy(tuples: DataFrame, attrs: list[str]) -> float:
 
 def entropies(tuples: DataFrame, sets: list[tuple[str, ...]]) -> DataFrame:
     """(attrs, n_groups, entropy) of many attribute sets in one pass over the compact tuples."""
-    named = F.array(*(F.struct(F.lit(",".join(s)).alias("attrs"), F.concat_ws(",", *(F.col(a).cast("string") for a in s)).alias("cell")) for s in sets))
-    counts = tuples.select("mult", F.explode(named).alias("x")).groupBy("x.attrs", "x.cell").agg(F.sum("mult").alias("c"))
-    sums = counts.groupBy("attrs").agg(F.count("*").alias("n_groups"), F.sum("c").alias("n"), F.sum(F.col("c") * F.log2("c")).alias("s"))
+    attrs = sorted({a for s in sets for a in s})
+    bit = {a: 1 << k for k, a in enumerate(attrs)}
+    names = [(",".join(s), sum(bit[a] for a in set(s))) for s in sets]
+    asked = tuples.sparkSession.createDataFrame(names, "attrs string, _set long")
+    each = tuples.select("mult", *attrs, F.explode(F.array(*(F.lit(m).cast("long") for m in sorted({m for _, m in names})))).alias("_set"))
+    # an attribute outside the set counts as one value, so one expression an attribute serves all sets
+    counts = each.groupBy("_set", *(F.when(F.col("_set").bitwiseAND(F.lit(bit[a]).cast("long")) != 0, F.col(a)).alias(a) for a in attrs)).agg(F.sum("mult").alias("c"))
+    sums = counts.groupBy("_set").agg(F.count("*").alias("n_groups"), F.sum("c").alias("n"), F.sum(F.col("c") * F.log2("c")).alias("s")).join(F.broadcast(asked), "_set")
     return sums.select("attrs", "n_groups", (F.log2("n") - F.col("s") / F.col("n")).alias("entropy"))
 
 

@@ -8,16 +8,18 @@ from dataclasses import dataclass
 from functools import reduce
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from selweave.functions.estimate import selectivity_of
 from selweave.functions.metrics import box_plot, log_q_error, q_error, relative_error, selectivity_bucket
 from selweave.operators import baselines as bl
-from selweave.operators import dens, ranges, reg
+from selweave.operators import conditionals, dens, kernels, ranges, reg
 from selweave.operators import workload as wl
 from selweave.operators.query import Queries
 from selweave.operators.relation import Dictionary, binary_bits, compact, dependencies, encode_codes, encoding_width, entropies, fit_dictionary, mutual_information, one_hot
 from selweave.operators.truth import true_counts, true_counts_grouped, true_counts_theta, tuple_weights
+from selweave.plans.advice import condition_order, join_advice
 from selweave.sources.views import VIEWS, load_view
 from selweave.streaming.increments import hourly_counts
 
@@ -238,6 +240,23 @@ def haar_small(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rounded(bl.haar_estimate(kept, r.dic, own, w), "est_rows", digits=2)
 
 
+def _grouped(r: Relation, found: DataFrame, w: DataFrame, by: tuple[str, ...]) -> DataFrame:
+    """Rows (qid, true_rows) with the columns that results are grouped by: k, bucket, decade, quartile."""
+    found = found.join(w.select("qid", F.col("k").cast("int").alias("k"), "attrs").distinct(), "qid")
+    if "bucket" in by:
+        found = found.withColumn("bucket", selectivity_bucket(F.col("true_rows") / F.lit(float(r.dic.rows))))
+    if "decade" in by:
+        size = F.lit(0.0)
+        for a in r.attrs:
+            size = size + F.when(F.array_contains(F.split("attrs", ","), a), F.lit(float(np.log10(r.dic.cards[a])))).otherwise(0.0)
+        found = found.withColumn("decade", F.floor(size + 1e-9).cast("int"))
+    if "quartile" in by:
+        sets = [tuple(s.split(",")) for _, s, quota in wl.attribute_sets(r.attrs, TOTAL) if quota]
+        h = entropies(r.tuples, sets).select("attrs", F.round("entropy", 6).alias("h"))
+        found = found.join(F.broadcast(h.select("attrs", F.ntile(4).over(Window.orderBy("h", "attrs")).alias("quartile"))), "attrs")  # one row an attribute set
+    return found
+
+
 def error_boxes(which: str, by: str) -> Query:
     """Box rows of a baseline's q-errors by predicate count, selectivity or joint-table size."""
 
@@ -245,14 +264,7 @@ def error_boxes(which: str, by: str) -> Query:
         r = relation(spark, sf_dir, "shipments")
         w = _combo(spark, r)
         truth = true_counts(r.tuples, Queries.of_frame(w, r.dic))
-        errors = _errors(truth, _estimates(spark, r, w, which)).join(w.select("qid", F.col("k").cast("int").alias("k"), "attrs").distinct(), "qid")
-        if by == "bucket":
-            errors = errors.withColumn(by, selectivity_bucket(F.col("true_rows") / F.lit(float(r.dic.rows))))
-        elif by == "decade":
-            size = F.lit(0.0)
-            for a in r.attrs:
-                size = size + F.when(F.array_contains(F.split("attrs", ","), a), F.lit(float(np.log10(r.dic.cards[a])))).otherwise(0.0)
-            errors = errors.withColumn(by, F.floor(size + 1e-9).cast("int"))
+        errors = _grouped(r, _errors(truth, _estimates(spark, r, w, which)), w, (by,))
         return _box(errors, by)
 
     return run
@@ -282,7 +294,7 @@ def _sample(w: DataFrame, most: int = 240) -> DataFrame:
 
 def _dens_boxes(spark: SparkSession, r: Relation, w: DataFrame, models: dict[str, list], by: list[str], method: str = "auto", samples: int = 200) -> DataFrame:
     q = Queries.of_frame(w, r.dic)
-    truth = true_counts(r.tuples, q).join(w.select("qid", F.col("k").cast("int").alias("k")).distinct(), "qid").withColumn("bucket", selectivity_bucket(F.col("true_rows") / F.lit(float(r.dic.rows)))).persist()
+    truth = _grouped(r, true_counts(r.tuples, q), w, tuple(by)).persist()
     parts = [_errors(truth, ranges.estimate(spark, m, q, r.dic.rows, method, samples)).withColumn("config", F.lit(c)) for c, m in models.items()]
     return _box(_union(parts), "config", *by)
 
@@ -386,7 +398,7 @@ def _labelled(r: Relation, preds: DataFrame) -> tuple[Queries, np.ndarray]:
 def _judge(spark: SparkSession, r: Relation, models: dict[str, object], *by: str) -> DataFrame:
     w = _combo(spark, r, 1_000, seed=9, values="anchored")
     q = Queries.of_frame(w, r.dic)
-    truth = true_counts(r.tuples, q).join(w.select("qid", F.col("k").cast("int").alias("k")).distinct(), "qid").persist()
+    truth = _grouped(r, true_counts(r.tuples, q), w, by).persist()
     return _box(_union([_errors(truth, reg.estimate(spark, m, q)).withColumn("config", F.lit(c)) for c, m in models.items()]), "config", *by)
 
 
@@ -399,10 +411,87 @@ def regressors(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _judge(spark, r, models)
 
 
-def reg_by_count(spark: SparkSession, sf_dir: str) -> DataFrame:
+def reg_by(by: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        r = relation(spark, sf_dir, "shipments")
+        q, y = _labelled(r, wl.random_training(spark, r.dic, r.tuples, 5_000))
+        return _judge(spark, r, {"reg": reg.Regressor(r.dic.rows).fit(q, y, epochs=40)}, by)
+
+    return run
+
+
+def training_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Regressors of fewer and more training queries and epochs."""
+    r = relation(spark, sf_dir, "shipments")
+    models = {}
+    for budget in (1_250, 2_500, 5_000):
+        q, y = _labelled(r, wl.random_training(spark, r.dic, r.tuples, budget))
+        models |= {f"{budget} queries, {e} epochs": reg.Regressor(r.dic.rows).fit(q, y, epochs=e) for e in (10, 40)}
+    return _judge(spark, r, models)
+
+
+def _widest(size: Callable[[int], int], budget: int) -> int:
+    """The most hidden units a layer whose network fits the budget."""
+    return max((h for h in range(4, 260, 4) if size(h) <= budget), default=4)
+
+
+def equal_space(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Networks, samples and kernel densities cut to the same bytes."""
+    r = relation(spark, sf_dir, "shipments")
+    w = _sample(_combo(spark, r, values="anchored")).persist()
+    q = Queries.of_frame(w, r.dic)
+    truth = true_counts(r.tuples, q).persist()
+    labelled = _labelled(r, wl.random_training(spark, r.dic, r.tuples, 2_500))
+    cards, m = [r.dic.cards[a] for a in r.attrs], len(r.attrs)
+    order = dens.attribute_order(r.attrs)
+    inputs = reg.encode_queries(labelled[0]).shape[1]
+    budgets = (25_000, 50_000, 200_000)
+    nets = [dens.MaskedNet(cards, order, (h, h)) for h in (_widest(lambda h: dens.MaskedNet(cards, order, (h, h)).size_bytes(), b) for b in budgets)]
+    parts = []
+    for b, model in zip(budgets, dens.fit(r.tuples, r.dic, start=nets, epochs=EPOCHS)):
+        h = _widest(lambda h: 4 * (inputs * h + h * h + 3 * h + 1), b)
+        rows = b // (4 * m + 8)
+        found = {
+            "dens": ranges.estimate(spark, [model], q, r.dic.rows, samples=200),
+            "reg": reg.estimate(spark, reg.Regressor(r.dic.rows, hidden=(h, h)).fit(*labelled, epochs=40), q),
+            "sample": bl.sample_estimate(bl.md5_sample(r.tuples, r.attrs, min(1.0, rows / r.dic.rows)), q, r.dic.rows),
+            "kernels": kernels.estimate(spark, kernels.KernelDensity.fit(r.tuples, r.dic, rows), q, r.dic.rows),
+        }
+        parts += [_errors(truth, e.select("qid", "est_rows")).withColumn("estimator", F.lit(n)).withColumn("budget", F.lit(b)) for n, e in found.items()]
+    return _box(_union(parts), "estimator", "budget")
+
+
+def single_networks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A network for every conditional against one masked network of all."""
+    r = relation(spark, sf_dir, "shipments")
+    w = _sample(_combo(spark, r, values="anchored"), 120).persist()
+    return _dens_boxes(spark, r, w, {"per attribute": [conditionals.fit(r.tuples, r.dic, epochs=EPOCHS)], "masked": dens.fit(r.tuples, r.dic, epochs=EPOCHS)}, [])
+
+
+def kernel_density(spark: SparkSession, sf_dir: str) -> DataFrame:
+    r = relation(spark, sf_dir, "shipments")
+    q = Queries.of_frame(_combo(spark, r), r.dic)
+    return _rounded(kernels.estimate(spark, kernels.KernelDensity.fit(r.tuples, r.dic), q, r.dic.rows), "est_rows", digits=3)
+
+
+#: Conditions over the dialog relation, asked through the SQL function.
+WHERES = ["role = 'user'", "turn BETWEEN 1 AND 3 AND role IN ('user', 'assistant')", "len_band >= 5", "turn > 2 AND len_band < 6", "role = 'nobody'"]
+
+
+def where_function(spark: SparkSession, sf_dir: str) -> DataFrame:
+    r = relation(spark, sf_dir, "dialog")
+    asked = spark.createDataFrame([(k, t) for k, t in enumerate(WHERES)], "id int, cond string")
+    return _rounded(asked.select("id", selectivity_of([_joint(r)], r.dic, "enumerate")("cond").alias("sel")), "sel", digits=6)
+
+
+def planner_joins(spark: SparkSession, sf_dir: str) -> DataFrame:
+    r = relation(spark, sf_dir, "shipments")
+    return join_advice(bl.independence(r.dic, _combo(spark, r)), 100, 100_000, 20_000)
+
+
+def planner_conditions(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "shipments")
-    q, y = _labelled(r, wl.random_training(spark, r.dic, r.tuples, 5_000))
-    return _judge(spark, r, {"reg": reg.Regressor(r.dic.rows).fit(q, y, epochs=40)}, "k")
+    return condition_order(_combo(spark, r), r.dic)
 
 
 def reg_augmentation(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -464,8 +553,9 @@ def queries() -> dict[str, Query]:
         "b2_independence": baseline("independence"), "b3_sample": baseline("sample"), "b3a_sample_constant": baseline("sample_constant"), "b4_grid_width": grid("width"), "b4_grid_depth": grid("depth"), "b5_multicolumn": multicolumn, "b6_haar_exact": haar, "b6_haar_budget": haar_small, "b7_bayes_tree": baseline("bayes_tree"), "b7_bayes_greedy": baseline("bayes_greedy"),
         "w4_independence_by_count": error_boxes("independence", "k"), "w5_independence_by_selectivity": error_boxes("independence", "bucket"), "w6_independence_by_joint_size": error_boxes("independence", "decade"), "w25_sample_by_selectivity": error_boxes("sample", "bucket"),
         "u12_enumerate_joint": joint_ranges("enumerate"), "u13_uniform_joint": joint_ranges("uniform"), "u14_adaptive_joint": joint_ranges("adaptive"), "u15_progressive_joint": joint_ranges("progressive"), "d15_likelihood": likelihood,
-        "w2_comparison": comparison, "w4_dens_by_count": dens_by("k"), "w5_dens_by_selectivity": dens_by("bucket"), "w8_width": sweep(width), "w9_depth": sweep(depth), "w10_encoding": sweep(encodings), "w11_orders": order_ensembles,
-        "w12_domain_knowledge": sweep(known, pick=lambda w: wl.dependency_workload(w, ("nation", "region"))), "w13_reg_by_count": reg_by_count, "w16_losses": regressors, "w17_workload_weights": injected_workload, "w18_augmentation": reg_augmentation, "w19_range_methods": range_methods, "w21_increments": increments,
+        "w2_comparison": comparison, "w4_dens_by_count": dens_by("k"), "w5_dens_by_selectivity": dens_by("bucket"), "w6_dens_by_joint_size": dens_by("decade"), "w7_dens_by_entropy": dens_by("quartile"), "w7_independence_by_entropy": error_boxes("independence", "quartile"), "u6a_single_networks": single_networks, "b10_kernel_density": kernel_density, "where_function": where_function, "planner_joins": planner_joins, "planner_conditions": planner_conditions,
+        "w8_width": sweep(width), "w9_depth": sweep(depth), "w10_encoding": sweep(encodings), "w11_orders": order_ensembles,
+        "w12_domain_knowledge": sweep(known, pick=lambda w: wl.dependency_workload(w, ("nation", "region"))), "w13_reg_by_count": reg_by("k"), "w14_reg_by_selectivity": reg_by("bucket"), "w15_reg_by_joint_size": reg_by("decade"), "w20_training_grid": training_grid, "w26_equal_space": equal_space, "w16_losses": regressors, "w17_workload_weights": injected_workload, "w18_augmentation": reg_augmentation, "w19_range_methods": range_methods, "w21_increments": increments,
         "stream_hourly_counts": hourly_counts,
     }
     return found
@@ -523,5 +613,9 @@ def oracle_sql() -> dict[str, str]:
     small = f"{b('dialog')}, {sql.ranged('dialog', sql.attrs_of('dialog'), 40)}"
     out["u12_enumerate_joint"] = f"{small} SELECT qid, CAST(true_rows AS DOUBLE) AS est_rows FROM truth"
     out["b6_haar_exact"] = f"{ships}, {sql.ranged('shipments', ['oyear', 'price_band'], 60)} SELECT qid, CAST(true_rows AS DOUBLE) AS est_rows FROM truth"
+    out["w7_independence_by_entropy"] = f"{independent}, {sql.ERRORS}, h AS (SELECT attrs, round(log2(sum(n)) - sum(n * log2(n)) / sum(n), 6) AS h FROM cube WHERE attrs IN (SELECT attrs FROM ids) GROUP BY attrs), z AS (SELECT attrs, ntile(4) OVER (ORDER BY h, attrs) AS quartile FROM h), e2 AS (SELECT * FROM errors JOIN z USING (attrs)) {sql.box('quartile', 'e2')}"
+    out["where_function"] = f"WITH {sql.view('dialog')} " + " UNION ALL ".join(f"SELECT {k} AS id, round(count(*) FILTER (WHERE {t}) / count(*) * 1.000000001, 6) AS sel FROM v" for k, t in enumerate(WHERES))
+    out["planner_joins"] = f"{independent} SELECT qid, CASE WHEN est_rows * 100 <= 100000 THEN 'broadcast' ELSE 'shuffle' END AS strategy, CAST(greatest(1, ceil(est_rows * 100 / 20000.0)) AS INT) AS partitions FROM est"
+    out["planner_conditions"] = f"{combo} SELECT qid, w.attr, CAST(row_number() OVER (PARTITION BY qid ORDER BY freq, w.attr) AS INT) AS place FROM w JOIN d ON d.attr = w.attr AND d.code = w.lo"
     out["stream_hourly_counts"] = "SELECT date_trunc('hour', ts) AS hour, event_type, count(*) AS n, round(sum(value), 2) AS total FROM events GROUP BY ALL"
     return out
