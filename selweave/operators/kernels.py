@@ -43,9 +43,11 @@ class KernelDensity:
         for a, card in enumerate(self.cards):
             if low[a] <= 0 and high[a] >= card - 1:
                 continue
-            at, h = self.codes[:, a], self.width[a]
+            at, back = np.unique(self.codes[:, a], return_inverse=True)
+            h = self.width[a]
             whole = _cdf((card - 0.5 - at) / h) - _cdf((-0.5 - at) / h)
-            out *= (_cdf((high[a] + 0.5 - at) / h) - _cdf((low[a] - 0.5 - at) / h)) / np.maximum(whole, 1e-300)
+            own = (_cdf((high[a] + 0.5 - at) / h) - _cdf((low[a] - 0.5 - at) / h)) / np.maximum(whole, 1e-300)
+            out *= own[back.ravel()]
         return float(out.sum())
 
     def size_bytes(self) -> int:

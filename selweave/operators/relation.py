@@ -136,8 +136,8 @@ def one_hot_matrix(codes: np.ndarray, cards: list[int]) -> np.ndarray:
 
 def joint_entropy(tuples: DataFrame, attrs: list[str]) -> float:
     """Bits of the joint distribution of some attributes of compact tuples."""
-    counts = tuples.groupBy(*attrs).agg(F.sum("mult").alias("c"))
-    r = counts.agg(F.sum("c").alias("n"), F.sum(F.col("c") * F.log2("c")).alias("s")).first()
+    counts = tuples.groupBy(*attrs).agg(F.sum("mult").alias("_c"))
+    r = counts.agg(F.sum("_c").alias("n"), F.sum(F.col("_c") * F.log2("_c")).alias("s")).first()
     return math.log2(r["n"]) - r["s"] / r["n"] if r["n"] else 0.0
 
 
@@ -149,8 +149,8 @@ def entropies(tuples: DataFrame, sets: list[tuple[str, ...]]) -> DataFrame:
     asked = tuples.sparkSession.createDataFrame(names, "attrs string, _set long")
     each = tuples.select("mult", *attrs, F.explode(F.array(*(F.lit(m).cast("long") for m in sorted({m for _, m in names})))).alias("_set"))
     # an attribute outside the set counts as one value, so one expression an attribute serves all sets
-    counts = each.groupBy("_set", *(F.when(F.col("_set").bitwiseAND(F.lit(bit[a]).cast("long")) != 0, F.col(a)).alias(a) for a in attrs)).agg(F.sum("mult").alias("c"))
-    sums = counts.groupBy("_set").agg(F.count("*").alias("n_groups"), F.sum("c").alias("n"), F.sum(F.col("c") * F.log2("c")).alias("s")).join(F.broadcast(asked), "_set")
+    counts = each.groupBy("_set", *(F.when(F.col("_set").bitwiseAND(F.lit(bit[a]).cast("long")) != 0, F.col(a)).alias(f"_at_{a}") for a in attrs)).agg(F.sum("mult").alias("_c"))
+    sums = counts.groupBy("_set").agg(F.count("*").alias("n_groups"), F.sum("_c").alias("n"), F.sum(F.col("_c") * F.log2("_c")).alias("s")).join(F.broadcast(asked), "_set")
     return sums.select("attrs", "n_groups", (F.log2("n") - F.col("s") / F.col("n")).alias("entropy"))
 
 
