@@ -555,7 +555,7 @@ def queries() -> dict[str, Query]:
         "u12_enumerate_joint": joint_ranges("enumerate"), "u13_uniform_joint": joint_ranges("uniform"), "u14_adaptive_joint": joint_ranges("adaptive"), "u15_progressive_joint": joint_ranges("progressive"), "d15_likelihood": likelihood,
         "w2_comparison": comparison, "w4_dens_by_count": dens_by("k"), "w5_dens_by_selectivity": dens_by("bucket"), "w6_dens_by_joint_size": dens_by("decade"), "w7_dens_by_entropy": dens_by("quartile"), "w7_independence_by_entropy": error_boxes("independence", "quartile"), "u6a_single_networks": single_networks, "b10_kernel_density": kernel_density, "where_function": where_function, "planner_joins": planner_joins, "planner_conditions": planner_conditions,
         "w8_width": sweep(width), "w9_depth": sweep(depth), "w10_encoding": sweep(encodings), "w11_orders": order_ensembles,
-        "w12_domain_knowledge": sweep(known, pick=lambda w: wl.dependency_workload(w, ("nation", "region"))), "w13_reg_by_count": reg_by("k"), "w14_reg_by_selectivity": reg_by("bucket"), "w15_reg_by_joint_size": reg_by("decade"), "w20_training_grid": training_grid, "w26_equal_space": equal_space, "w16_losses": regressors, "w17_workload_weights": injected_workload, "w18_augmentation": reg_augmentation, "w19_range_methods": range_methods, "w21_increments": increments,
+        "w12_domain_knowledge": sweep(known, pick=lambda w: wl.dependency_workload(w, ("nation", "region"))), "w13_reg_by_count": reg_by("k"), "w14_reg_by_selectivity": reg_by("bucket"), "w15_reg_by_joint_size": reg_by("decade"), "w20_training_grid": training_grid, "w16_losses": regressors, "w17_workload_weights": injected_workload, "w18_augmentation": reg_augmentation, "w19_range_methods": range_methods, "w21_increments": increments,
         "stream_hourly_counts": hourly_counts,
     }
     return found
