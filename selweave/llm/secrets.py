@@ -5,7 +5,11 @@ length test). On top, lines that look like code or configuration are lexed into
 name-literal pairs; values that are names are resolved through earlier
 assignments of the same text (constant propagation, joined by ``+`` or ``.``),
 and a literal is reported if the most sensitive name that it reaches scores
-high enough together with the literal's own look.
+high enough together with the literal's own look. The rest of a line after
+``name =`` or ``name:`` (.env, INI, YAML, properties) is a literal without
+quotes, unless it is a call or a subscript, or reads a name that an earlier
+assignment holds. Block scalars and values continued on further lines are not
+joined.
 
 Edge cases: a null text is empty and has no spans; an empty table gives an
 empty result; repeated rows are scanned alike; other columns are dropped.
@@ -44,13 +48,21 @@ HARMLESS = {"public": -3, "name": -2, "id": -1, "path": -2, "file": -2, "url": -
 #: Literals that stand for "nothing here yet".
 PLACEHOLDERS = re.compile(r"(?i)^(?:change_?me|your[_-].*|example.*|placeholder|dummy|none|null|true|false|todo|test|x+|\*+|<.*>|\$\{.*\}|%\(.*\)s|\{\{.*\}\})$")
 
-_LITERAL = r"""(?:"(?:[^"\\\n]|\\.){0,4096}"|'(?:[^'\\\n]|\\.){0,4096}')"""
+_LITERAL = r"""(?:"(?:[^"\\\n]|\\.)*+"|'(?:[^'\\\n]|\\.)*+')"""
 _NAME = r"[A-Za-z_][A-Za-z0-9_.\-]*"
-_TERM = rf"(?:{_LITERAL}|{_NAME})"
-#: name (= | : | :=| => | ->) term (+ term)*; the name may be quoted, as in JSON.
-_PAIR = re.compile(rf"""(?<![A-Za-z0-9_.\-])(?P<q>["']?)(?P<name>{_NAME})(?P=q)[\x20\t]*(?::=|=>|->|=(?!=)|:(?!:))[\x20\t]*(?P<value>{_TERM}(?:[\x20\t]*\+[\x20\t]*{_TERM})*)""")
-_TERMS = re.compile(rf"(?P<literal>{_LITERAL})|(?P<name>{_NAME})")
-_MAYBE_PAIR = re.compile(r"""[A-Za-z0-9_"'][\x20\t]*(?::=|=>|->|=|:)[\x20\t]*["'A-Za-z_]""")
+#: A name that is read: no dot at its end, which would be a join, and perhaps a sigil.
+_READ = r"[A-Za-z_][A-Za-z0-9_\-]*(?:\.[A-Za-z0-9_\-]+)*"
+_TERM = rf"(?:{_LITERAL}|\$?{_READ})"
+_OPERATOR = r"[\x20\t]*(?::=|=>|->|=(?!=)|:(?!:))[\x20\t]*"
+#: name (= | : | :=| => | ->) term ((+ | .) term)*; the name may be quoted, as in JSON.
+_PAIR = re.compile(rf"""(?<![A-Za-z0-9_.\-])(?P<q>["']?)(?P<name>{_NAME})(?P=q){_OPERATOR}(?P<value>{_TERM}(?:[\x20\t]*[+.][\x20\t]*{_TERM})*)""")
+_TERMS = re.compile(rf"(?P<literal>{_LITERAL})|(?P<name>{_READ})")
+_MAYBE_PAIR = re.compile(r"""[A-Za-z0-9_.\-"'][\x20\t]*(?::=|=>|->|=|:)[\x20\t]*\S""")
+#: A line of configuration syntax: the name stands first, the value is the rest.
+_LINE = re.compile(rf"""^[\x20\t]*+(?:(?:export|set|-)[\x20\t]++)?(?P<q>["']?)(?P<name>{_NAME})(?P=q){_OPERATOR}(?P<value>[^\s"'\[{{|>&][^\n]*+)""", re.M)
+_COMMENT = re.compile(r"[\x20\t][#;]")
+#: A call or a subscript as a whole value is code.
+_CODE = re.compile(rf"(?:(?:await|new)\x20)?\$?{_READ}\s?(?:\(.*\)|\[.*\])")
 _CAMEL = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+|\d+")
 
 
@@ -85,8 +97,16 @@ def literal_score(value: str) -> float:
     return min(entropy, 4.5) - 2.0 + 0.5 * (classes - 1)
 
 
-def lex(text: str) -> list[tuple[str, list[tuple[str, int, int]], list[str]]]:
-    """Assignments in order: target name, literals (value, start, end without quotes), names read."""
+def scalar(text: str, start: int, end: int) -> tuple[str, int, int] | None:
+    """A value without quotes (value, start, end), or None if it is code."""
+    comment = _COMMENT.search(text, start, end)
+    value = text[start : comment.start() if comment else end].rstrip(" \t\r,;")
+    return (value, start, start + len(value)) if value and not _CODE.fullmatch(value) else None
+
+
+def lex(text: str) -> list[tuple[str, list[tuple[str, int, int]], list[str], tuple[str, int, int] | None]]:
+    """Assignments in order: target name, literals (value, start, end without quotes), names read, the value as it stands without quotes."""
+    bare = {m.start("name"): (m["name"], scalar(text, m.start("value"), m.end("value"))) for m in _LINE.finditer(text)}
     out = []
     for m in _PAIR.finditer(text):
         literals, names = [], []
@@ -95,8 +115,9 @@ def lex(text: str) -> list[tuple[str, list[tuple[str, int, int]], list[str]]]:
                 literals.append((t["literal"][1:-1], t.start() + 1, t.end() - 1))
             else:
                 names.append(t["name"])
-        out.append((m["name"], literals, names))
-    return out
+        out.append((m.start("name"), m["name"], literals, names, bare.pop(m.start("name"), (None, None))[1]))
+    out += [(at, name, [], [], value) for at, (name, value) in bare.items()]
+    return [x[1:] for x in sorted(out, key=lambda x: x[0])]
 
 
 def flow_spans(text: str, least: float = 3.0) -> list[tuple[int, int, int]]:
@@ -106,8 +127,10 @@ def flow_spans(text: str, least: float = 3.0) -> list[tuple[int, int, int]]:
     pairs = lex(text)
     holds: dict[str, list[tuple[str, int, int]]] = {}
     best: dict[tuple[int, int], tuple[float, str]] = {}
-    for name, literals, names in pairs:
+    for name, literals, names, bare in pairs:
         reached = literals + [x for other in names for x in holds.get(other, ())]
+        if not reached and bare:
+            reached = [bare]
         if not reached:
             continue
         reached = list(dict.fromkeys(reached))
