@@ -15,6 +15,13 @@ word, and a block is abandoned once all its counters exceed the radius. A bucket
 gives a spanning star for each of its classes and never all pairs. Buckets over
 ``TILE`` members are dealt out as pairs of tiles.
 
+Stages that drop near-duplicates take another rule than the fingerprints' radius:
+texts link if the Jaccard similarity of their shingle sets reaches a bound
+(``similar_classes``). Candidates come from an exact prefix filter (of a set's
+shingles in one order for all texts, those that every similar set must share one
+of) and an upper bound of what two sets share; every link is checked on the whole
+sets.
+
 Edge cases: a null text is empty, an empty one has fingerprint 0, which links
 like any other; rows with a null id take part, the class id is the smallest
 non-null id (null if a class has none); repeated rows share a class; an empty
@@ -30,10 +37,10 @@ from math import comb
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut, slices, small_batches
+from .common import IS_SPACE, LOWER, cut, edges, first_of_each, mix, prefix_hashes, slices, small_batches, span_hashes, text_buffer
 
 RADIUS = 4
 SHINGLE = 4
@@ -41,6 +48,10 @@ SEED = 42
 TILE = 4096
 #: Distinct fingerprints a bucket would hold on average if bits were random, at most.
 LOAD = 64
+#: Shingles in the prefixes of more texts than this (or than a thousandth of all) come last in the order.
+COMMON = 100
+#: Groups of a set's shingles whose sizes bound what two sets share.
+GROUPS = 256
 
 
 def fingerprint(text: bytes) -> int:
@@ -282,6 +293,158 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     return prints.join(classes(prints), "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
+# --- classes by shingle similarity ---
+
+
+def shingle_sets(column: pa.Array, shingle: int) -> list[np.ndarray]:
+    """Sorted distinct shingle hashes of each text; a shorter text is one shingle, an empty one has none."""
+    raw, offsets = text_buffer(column)
+    raw = LOWER[raw]
+    starts, ends = edges(~IS_SPACE[raw], offsets)
+    first = first_of_each(starts, offsets)
+    words = span_hashes(prefix_hashes(raw), starts, ends)
+    out = []
+    for s, e in zip(first[:-1].tolist(), first[1:].tolist()):
+        width = min(shingle, e - s)
+        if not width:
+            out.append(np.zeros(0, np.uint64))
+            continue
+        n = e - s - width + 1
+        h = mix(words[s : s + n]) + np.uint64(width)
+        for k in range(1, width):
+            h = mix(h) * np.uint64(31) + words[s + k : s + k + n]
+        out.append(np.unique(mix(h)))
+    return out
+
+
+def prefix(own: np.ndarray, similarity: float, common: np.ndarray) -> np.ndarray:
+    """The shingles of a set of which any set of this similarity shares one; common ones come last in the order."""
+    if len(common):
+        own = own[np.argsort(np.isin(own, common), kind="stable")]
+    return own[: len(own) - int(np.ceil(similarity * len(own) - 1e-9)) + 1]
+
+
+def _prefixes(own: DataFrame, similarity: float, common: np.ndarray) -> DataFrame:
+    """(h, t, n): prefix shingles of the sets, and the sets' sizes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            t = batch.column(0).to_numpy(zero_copy_only=False)
+            sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in batch.column(1)]
+            keys = [prefix(x, similarity, common) for x in sets]
+            many = [len(k) for k in keys]
+            flat = np.concatenate([*keys, np.zeros(0, np.uint64)]).view(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(flat), pa.array(np.repeat(t, many)), pa.array(np.repeat([len(x) for x in sets], many).astype(np.int32))], names=["h", "t", "n"])
+
+    return own.select("t", "s").mapInArrow(run, "h long, t long, n int")
+
+
+def _group_sizes(own: DataFrame) -> DataFrame:
+    """(t, k): how many shingles of each set fall in each group; 255 stands for any more."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sizes = [np.minimum(np.bincount((np.frombuffer(x.as_buffer(), np.uint64) % np.uint64(GROUPS)).astype(np.int64), minlength=GROUPS), 255).astype(np.uint8).tobytes() for x in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.binary())], names=["t", "k"])
+
+    return own.select("t", "s").mapInArrow(run, "t long, k binary")
+
+
+def _possible(pairs: DataFrame, sizes: DataFrame, similarity: float) -> DataFrame:
+    """The pairs that the sizes of their groups don't rule out; no pair of the similarity goes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(-1, GROUPS).astype(np.int64) for c in (2, 3))
+            shared = np.minimum(x, y).sum(axis=1)
+            full = ((x == 255) & (y == 255)).any(axis=1)
+            keep = full | (shared >= similarity * np.maximum(x.sum(axis=1) + y.sum(axis=1) - shared, 0) - 1e-9)
+            yield batch.select([0, 1]).filter(pa.array(keep))
+
+    joined = pairs.join(sizes.select(F.col("t").alias("a"), F.col("k").alias("x")), "a").join(sizes.select(F.col("t").alias("b"), F.col("k").alias("y")), "b")
+    return cut(joined.select("a", "b", "x", "y").mapInArrow(run, "a long, b long"))
+
+
+def _similar(pairs: DataFrame, own: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (a, b) whose shingle sets reach the similarity: the sets of all b come after that of their a."""
+    sent = pairs.select("a", F.col("b").alias("t")).unionByName(pairs.select("a", F.col("a").alias("t")).distinct())
+    dealt = sent.join(own, "t").select("a", (F.col("t") != F.col("a")).alias("later"), F.col("t").alias("b"), "s")
+
+    def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        head, x = None, None
+        for batch in batches:
+            keep = []
+            for a, later, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(3)):
+                y = np.frombuffer(y.as_buffer(), np.uint64)
+                if not later:
+                    head, x = a, y.copy()
+                    keep.append(False)
+                    continue
+                assert a == head
+                both = len(x) + len(y)
+                shared = both - len(np.unique(np.concatenate([x, y])))
+                keep.append(shared >= similarity * (both - shared) - 1e-9)
+            yield batch.select([0, 2]).filter(pa.array(keep, pa.bool_()))
+
+    return dealt.repartition("a").sortWithinPartitions("a", "later").mapInArrow(check, "a long, b long")
+
+
+def similar_classes(docs: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """(th, root): hashes of the distinct texts and of the least text of their class; texts link by Jaccard similarity.
+
+    Each text is first compared with the least text of each of its prefix shingles,
+    then with all others that are in another class so far. Null, empty and blank
+    texts have no shingles and are equal.
+    """
+
+    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(batches, "text"):
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x.tobytes() for x in shingle_sets(batch.column(1), shingle)], pa.binary())], names=["t", "s"])
+
+    rows = small_batches(docs).select(F.xxhash64("text").alias("t"), F.coalesce("text", F.lit("")).alias("text"))
+    own = cut(rows.dropDuplicates(["t"]).mapInArrow(sets, "t long, s binary"))
+    # the order may put any shingles last, so a part of the texts is enough to name common ones
+    part, everything = 8, own.count()
+    sizes = cut(_group_sizes(own))
+    often = _prefixes(own.where(F.pmod(F.xxhash64("t"), F.lit(part)) == 0), similarity, np.zeros(0, np.uint64))
+    often = often.groupBy("h").count().where(F.col("count") > max(COMMON, everything // 1000) / part)
+    common = np.sort(np.array([r["h"] for r in often.select("h").toLocalIterator()], np.int64).view(np.uint64))
+    near = lambda n, m: F.least(n, m) >= similarity * F.greatest(n, m) - 1e-9
+    by_shingle = Window.partitionBy("h")
+    keyed = _prefixes(own, similarity, common).withColumn("head", F.min(F.struct("t", "n")).over(by_shingle)).withColumn("many", F.count("*").over(by_shingle))
+    keyed = cut(keyed.where("many > 1").select("h", "t", "n", F.col("head.t").alias("head"), F.col("head.n").alias("m")))
+    heads = cut(keyed.where((F.col("t") != F.col("head")) & near(F.col("n"), F.col("m"))).select(F.col("head").alias("a"), F.col("t").alias("b")).distinct())
+    down = lambda e: e.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
+    blank = own.where(F.length("s") == 0).select("t")
+    blank = blank.crossJoin(F.broadcast(blank.agg(F.min("t").alias("a")))).where("t <> a").select("a", F.col("t").alias("b"))
+    # a is the least text of a star; its set is sent once
+    sure = cut(_similar(_possible(heads, sizes, similarity), own, similarity).unionByName(blank))
+    placed = keyed.select("h", "t", "n").join(components(down(sure)).withColumnRenamed("node", "t"), "t", "left").select("h", "t", "n", F.coalesce("root", "t").alias("root"))
+    placed = placed.withColumn("lo", F.min("root").over(by_shingle)).withColumn("hi", F.max("root").over(by_shingle))
+    placed = cut(placed.where("lo <> hi").select("h", "t", "n", "root"))
+    x, y = placed.alias("x"), placed.alias("y")
+    rest = x.join(y, (F.col("x.h") == F.col("y.h")) & (F.col("x.t") < F.col("y.t")) & (F.col("x.root") != F.col("y.root")) & near(F.col("x.n"), F.col("y.n")))
+    rest = cut(rest.select(F.col("x.t").alias("a"), F.col("y.t").alias("b")).distinct().join(heads, ["a", "b"], "left_anti"))
+    roots = components(down(sure.unionByName(_similar(_possible(rest, sizes, similarity), own, similarity))))
+    return own.select("t").join(roots, own.t == roots.node, "left").select(F.col("t").alias("th"), F.coalesce("root", "t").alias("root"))
+
+
+def keep_similar(docs: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """Rows of ``docs``, all columns: of each class by shingle similarity the one with the smallest id (one of several equal rows; a null id last)."""
+    ids = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"))
+    classed = ids.join(similar_classes(docs, shingle, similarity), "th")
+    first = classed.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "th")).alias("first"))
+    side = cut(first.select(F.col("first.doc_id").alias("_kept_id"), F.col("first.th").alias("_kept_th")))
+    on = F.col("doc_id").cast("long").eqNullSafe(F.col("_kept_id")) & (F.xxhash64("text") == F.col("_kept_th"))
+    kept = docs.join(side, on, "left_semi")
+    repeated = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th")).join(side, (F.col("doc_id").eqNullSafe(F.col("_kept_id"))) & (F.col("th") == F.col("_kept_th")), "left_semi").count() > side.count()
+    if repeated:
+        return docs.join(side, on).dropDuplicates(["_kept_id", "_kept_th"]).drop("_kept_id", "_kept_th")
+    return kept
+
+
 def keep_one(docs: DataFrame) -> DataFrame:
     """Rows of ``docs``, all columns: of each class the one with the smallest id (one of several equal rows)."""
     prints = cut(fingerprints(docs))
