@@ -7,11 +7,12 @@ of documents is tokenised by a handful of numpy passes and not word by word.
 from __future__ import annotations
 
 import re
+import tempfile
 from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: The bytes that separate words (space, tab, LF, VT, FF, CR).
@@ -33,10 +34,12 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors share; set here only if the session has none."""
+    """The folder all executors share. Without one, a session on one machine takes a folder of its own; a cluster must name it."""
     at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not at:
-        at = "/tmp/checkpoints"
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        at = tempfile.mkdtemp(prefix="checkpoints-")
     if spark.sparkContext.getCheckpointDir() is None:
         spark.sparkContext.setCheckpointDir(at)
     return at
@@ -48,6 +51,32 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def skew_join(left: DataFrame, right: DataFrame, keys: list[str], weight: str, spread: Column, share: int = 1000) -> DataFrame:
+    """Left join with a table of one row a key, where few keys may hold most rows of ``left``.
+
+    ``weight`` is a column of ``right``: how many rows of ``left`` a key has, or
+    in proportion to it. Keys above one ``share``th of all weight, which are
+    fewer than ``share`` by that, are joined by broadcast and stay where they
+    are; the others are shuffled, and ``spread`` (a column of ``left``) deals the
+    former so that no task gets all of a key.
+    """
+    total = right.agg(F.sum(weight)).first()[0] or 0
+    heavy = F.col(weight) > F.lit(total / share)
+    extra = [c for c in right.columns if c not in keys]
+    hot = right.where(heavy).select(*(F.col(k).alias(f"_hot_{k}") for k in keys), F.struct(*extra).alias("_hot"))
+    met = None
+    for k in keys:
+        one = F.col(k) == F.col(f"_hot_{k}")
+        met = one if met is None else met & one
+    first, rest = keys[0], keys[1:]
+    marked = left.join(F.broadcast(hot), met, "left").drop(*(f"_hot_{k}" for k in keys))
+    marked = marked.withColumn("_cold", F.col("_hot").isNull()).withColumn("_first", F.when(F.col("_cold"), F.col(first)).otherwise(F.xxhash64(spread)))
+    cold = right.where(~heavy).withColumn("_cold", F.lit(True)).withColumn("_first", F.col(first)).drop(first)
+    cold = cold.select(*rest, "_cold", "_first", *(F.col(c).alias(f"_own_{c}") for c in extra))
+    joined = marked.join(cold, ["_first", "_cold", *rest], "left")
+    return joined.select(*left.columns, *(F.coalesce(F.col(f"_hot.{c}"), F.col(f"_own_{c}")).alias(c) for c in extra))
+
+
 def slices(batches: Iterable[pa.RecordBatch], column: str, max_bytes: int = 1 << 20, max_rows: int = 4096) -> Iterator[pa.RecordBatch]:
     """Cut batches so that no piece holds over ``max_bytes`` of ``column`` unless a single row does."""
     for batch in batches:

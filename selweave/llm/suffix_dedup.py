@@ -4,23 +4,28 @@ A window is a string of ``LENGTH`` bytes. Two equal windows pick the same place
 inside themselves as anchor: the one with the least hash of the ``GRAM`` bytes
 from there. An anchor of a text owns the run of windows that pick it.
 
-1. Anchors are grouped by the hash of their gram. Where all owned windows and
-   the anchor's place agree (one class), every member of a class of two or more
-   is a repeat as a whole and needs no sorting.
-2. In grams with several classes, the classes' contexts (the bytes under their
-   windows, taken from one member) meet in a task, and the suffixes at all their
-   windows are sorted: a bottom-up mergesort that finds each rank by binary
-   search, where a comparison finds the common extension by binary search over
-   prefix polynomial hashes. Neighbours that agree over a whole window are
-   verified byte by byte before they count.
+1. Anchors are grouped by their class: gram, and digest of all bytes under the
+   owned windows together with the anchor's place. A class is counted map-side.
+2. Of every class that isn't alone with its gram, two occurrences (one, if all
+   lie at the same place of copies of one text) meet with those of the gram's
+   other classes in a task, and the suffixes at all their windows are sorted: a
+   bottom-up mergesort that finds each rank by binary search, where a comparison
+   finds the common extension by binary search over prefix polynomial hashes.
+   Neighbours that agree over a whole window are verified byte by byte. A class
+   counts as repeated once all windows of one occurrence have such a neighbour;
+   its further members are those of equal class.
 3. Grams with very many classes are sorted in several runs; windows that stay
    single in a run are then matched across runs by digest, with map-side
    counting, so no task holds all of a hot gram.
 
+What rests on hashes alone: a class is named by 160 bits of two independent
+hashes (odds of any clash about 1e-24 among 1e12 anchors), a text by 96 bits
+(about 1e-9 among 1e10 texts), a window across runs by 128 bits (about 1e-15
+among 1e12 windows).
+
 Edge cases: a null text is empty; texts under ``LENGTH`` bytes keep all;
 repeated rows and copies repeat each other's windows; an empty table gives an
-empty result. Texts are identified by 96 bits of hash, so ids may be null or
-repeat.
+empty result; ids may be null or repeat.
 """
 
 from __future__ import annotations
@@ -34,7 +39,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, mix, plain_documents, prefix_hashes, shared_folder, slices, text_buffer
+from .common import cut, mix, plain_documents, prefix_hashes, shared_folder, skew_join, slices, text_buffer
 from .common import _powers as powers
 
 LENGTH = 400
@@ -87,6 +92,10 @@ def anchors(docs: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "text"):
             t, u = (batch.column(k).to_numpy(zero_copy_only=False) for k in (0, 1))
+            _, once, back = np.unique(np.stack([t, u.astype(np.int64)]), axis=1, return_index=True, return_inverse=True)
+            copies = np.bincount(back.ravel(), minlength=len(once))
+            if len(once) < len(t):  # copies within a batch are one text
+                t, u, batch = t[once], u[once], batch.take(pa.array(once))
             raw, offsets = text_buffer(batch.column(2))
             doc, first, last, at, gram = anchors_of(raw, offsets)
             if not len(doc):
@@ -94,8 +103,7 @@ def anchors(docs: DataFrame) -> DataFrame:
             whole = memoryview(raw.tobytes())
             digest = xxhash.xxh3_128_digest
             packed = np.frombuffer(b"".join([digest(whole[s:e], o) for s, e, o in zip(first.tolist(), (last + LENGTH).tolist(), (at - first).tolist())]), np.dtype([("f", "<i8"), ("e", "<i4"), ("x", "<i4")]))
-            ones = np.ones(len(doc), np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(t[doc]), pa.array(u[doc]), *(pa.array(x.astype(np.int32)) for x in (first - offsets[doc], at - first, last - first)), pa.array(gram), pa.array(packed["f"].copy()), pa.array(packed["e"].copy()), pa.array(ones)], names=["t", "u", "lo", "off", "span", "g", "f", "e", "n"])
+            yield pa.RecordBatch.from_arrays([pa.array(t[doc]), pa.array(u[doc]), *(pa.array(x.astype(np.int32)) for x in (first - offsets[doc], at - first, last - first)), pa.array(gram), pa.array(packed["f"].copy()), pa.array(packed["e"].copy()), pa.array(copies[doc])], names=["t", "u", "lo", "off", "span", "g", "f", "e", "n"])
 
     return _named(docs).select("t", "u", "text").mapInArrow(run, ANCHORS)
 
@@ -242,49 +250,58 @@ def _intervals(where: np.ndarray, window: np.ndarray, hit: np.ndarray) -> tuple[
 
 
 def _sort_task(table: pa.Table) -> pa.Table:
-    """One bucket of contexts -> repeated stretches (s, stop), and for hot grams the windows still single (a, b digests)."""
+    """One bucket of contexts -> classes confirmed as repeated (g, f, e), repeated stretches of single ones (s, stop), and for hot grams the windows still single (a, b digests)."""
     cols = {k: table.column(k).to_numpy(zero_copy_only=False) for k in ("g", "f", "e", "n", "t", "u", "lo", "off", "span", "runs")}
-    _, keep = np.unique(np.stack([cols["g"], cols["f"], cols["e"].astype(np.int64)]), axis=1, return_index=True)
+    _, keep = np.unique(np.stack([cols[k].astype(np.int64) for k in ("g", "f", "e", "t", "u", "lo")]), axis=1, return_index=True)
     keep = np.sort(keep)
     cols = {k: v[keep] for k, v in cols.items()}
     contexts = table.column("context").combine_chunks().take(pa.array(keep)).to_pylist()
-    off, span = cols["off"].astype(np.int64), cols["span"].astype(np.int64)
-    where, window, hit = repeats(contexts, cols["g"], off, span)
+    where, window, hit = repeats(contexts, cols["g"], cols["off"].astype(np.int64), cols["span"].astype(np.int64))
+    whole = np.bincount(where, weights=hit, minlength=len(contexts)) > cols["span"]
     single = cols["n"] == 1
-    w, first, last = _intervals(where, window, hit & single[where])
-    t, u = list(cols["t"][w]), list(cols["u"][w])
-    s, stop = list(cols["lo"][w] + first), list(cols["lo"][w] + last + LENGTH)
-    a, b = [None] * len(t), [None] * len(t)
-    hot = np.flatnonzero((cols["runs"] > 1)[where])
-    done: set[tuple[int, bytes]] = set()
-    for k in hot.tolist():  # one row a distinct window of this run, plus each window that waits for a verdict
+    sure = np.flatnonzero(whole & ~single)
+    w, first, last = _intervals(where, window, hit & ~(whole & ~single)[where])
+    fields = {k: [cols[k][sure], np.zeros(len(w), cols[k].dtype)] for k in ("g", "f", "e")} | {k: [cols[k][sure], cols[k][w]] for k in ("t", "u")}
+    fields |= {"kind": [np.zeros(len(sure), np.int32), np.ones(len(w), np.int32)], "s": [np.zeros(len(sure), np.int64), cols["lo"][w] + first], "stop": [np.zeros(len(sure), np.int64), cols["lo"][w] + last + LENGTH]}
+    a, b = [np.zeros(len(sure) + len(w), np.int64)], [np.zeros(len(sure) + len(w), np.int64)]
+    waits_at, digests = [], []
+    done: set[bytes] = set()
+    for k in np.flatnonzero((cols["runs"] > 1)[where]).tolist():  # one row a distinct window of this run, plus each window that waits for a verdict
         c = int(where[k])
-        piece = contexts[c][window[k] : window[k] + LENGTH]
-        digest = xxhash.xxh3_128_digest(piece)
+        digest = xxhash.xxh3_128_digest(contexts[c][window[k] : window[k] + LENGTH])
         waits = bool(single[c]) and not hit[k]
-        if not waits and (0, digest) in done:
+        if not waits and digest in done:
             continue
-        done.add((0, digest))
-        t.append(cols["t"][c])
-        u.append(cols["u"][c])
-        s.append(int(cols["lo"][c] + window[k]))
-        stop.append(s[-1] + LENGTH)
-        a.append(int.from_bytes(digest[:8], "little", signed=True))
-        b.append(int.from_bytes(digest[8:], "little", signed=True))
-    return pa.table({"t": pa.array(t, pa.int64()), "u": pa.array(u, pa.int32()), "s": pa.array(s, pa.int32()), "stop": pa.array(stop, pa.int32()), "a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
-
-
-def repeated_stretches(docs: DataFrame, run: int = RUN, task: int = TASK) -> DataFrame:
-    """(t, u, s, stop): stretches of each text in which every window of ``LENGTH`` bytes also starts elsewhere."""
+        done.add(digest)
+        waits_at.append(k)
+        digests.append(digest)
+    at = np.array(waits_at, np.int64)
+    pair = np.frombuffer(b"".join(digests), "<i8").reshape(-1, 2)
+    for k in ("g", "f", "e"):
+        fields[k].append(np.zeros(len(at), cols[k].dtype))
+    for k in ("t", "u"):
+        fields[k].append(cols[k][where[at]])
+    fields["kind"].append(np.full(len(at), 2, np.int32))
+    fields["s"].append(cols["lo"][where[at]] + window[at])
+    fields["stop"].append(cols["lo"][where[at]] + window[at] + LENGTH)
+    fields |= {"a": [*a, pair[:, 0]], "b": [*b, pair[:, 1]]}
+    kinds = {"u": pa.int32(), "e": pa.int32(), "kind": pa.int32(), "s": pa.int32(), "stop": pa.int32()}
+    return pa.table({k: pa.array(np.concatenate(fields[k])).cast(kinds.get(k, pa.int64())) for k in SORTED})
+
+
+SORTED = ("kind", "g", "f", "e", "t", "u", "s", "stop", "a", "b")
+
+
+def repeated_stretches(docs: DataFrame, run: int = RUN, task: int = TASK) -> tuple[DataFrame, DataFrame]:
+    """(t, u, s, stop): stretches of each text in which every window of ``LENGTH`` bytes also starts elsewhere; and (t, u, copies) of the texts with windows."""
     found = cut(anchors(docs))
-    grams = found.groupBy("g").agg(F.sum("n").alias("total"), F.min(F.struct("f", "e")).alias("least"), F.max(F.struct("f", "e")).alias("most")).where("total > 1")
-    hits = cut(found.join(grams.select("g", (F.col("least") == F.col("most")).alias("one")), "g"))
-    whole = lambda df: df.select("t", "u", F.col("lo").alias("s"), (F.col("lo") + F.col("span") + LENGTH).alias("stop"))
-    several = hits.where("not one")
-    classes = cut(several.groupBy("g", "f", "e").agg(F.sum("n").alias("n"), F.min(F.struct("t", "u", "lo", "off", "span")).alias("rep")))
-    out = whole(hits.where("one")).unionByName(whole(several.join(classes.where("n > 1"), ["g", "f", "e"], "left_semi")))
-    mixed = classes.groupBy("g").agg(F.count("*").alias("m"), F.min("n").alias("fewest")).where("fewest = 1 and m > 1")
-    asked = cut(classes.join(mixed, "g").select("g", "f", "e", "n", "rep.*", F.ceil(F.col("m") / run).cast("int").alias("runs")))
+    copies = cut(found.where("lo = 0").groupBy("t", "u").agg(F.sum("n").alias("copies")))
+    place = F.struct("t", "u", "lo", "off", "span")
+    classes = cut(found.groupBy("g", "f", "e").agg(F.sum("n").alias("n"), F.min(place).alias("one"), F.max(place).alias("two")))
+    grams = classes.groupBy("g").agg(F.sum("n").alias("total"), F.count("*").alias("m")).where("total > 1").select("g", "m")
+    met = skew_join(classes, cut(grams), ["g"], "m", F.col("f"))
+    asked = met.where("m > 1 or (n > 1 and one <> two)").withColumn("runs", F.ceil(F.col("m") / run).cast("int"))
+    asked = cut(asked.select("g", "f", "e", "n", "runs", F.explode(F.when(F.col("one") == F.col("two"), F.array("one")).otherwise(F.array("one", "two"))).alias("at")).select("g", "f", "e", "n", "runs", "at.*"))
     tasks = max(1, -(-asked.count() // task))
     asked = asked.withColumn("bucket", F.when(F.col("runs") > 1, F.xxhash64("g", F.pmod("f", F.col("runs")))).otherwise(F.pmod("g", F.lit(tasks))))
     by_text = asked.groupBy("t", "u").agg(F.collect_list(F.struct("bucket", "g", "f", "e", "n", "lo", "off", "span", "runs")).alias("asked"))
@@ -295,28 +312,37 @@ def repeated_stretches(docs: DataFrame, run: int = RUN, task: int = TASK) -> Dat
         for batch in slices(batches, "text"):
             raw, offsets = text_buffer(batch.column(2))
             rows: list[tuple] = []
-            for k, (t, u, asked_) in enumerate(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(3).to_pylist())):
+            for k, (t, u, asked_) in enumerate(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(3))):
                 if (t, u) in done:
                     continue
                 done.add((t, u))
                 text = raw[offsets[k] : offsets[k + 1]]
-                rows += [(x["bucket"], x["g"], x["f"], x["e"], x["n"], t, u, x["lo"], x["off"], x["span"], x["runs"], text[x["lo"] : x["lo"] + x["span"] + LENGTH].tobytes()) for x in asked_]
+                rows += [(x["bucket"], x["g"], x["f"], x["e"], x["n"], t, u, x["lo"], x["off"], x["span"], x["runs"], text[x["lo"] : x["lo"] + x["span"] + LENGTH].tobytes()) for x in asked_.as_py()]
             if rows:
                 kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.binary()]
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names=[p.split()[0] for p in schema.split(", ")])
 
-    contexts = _named(docs).select("t", "u", "text").join(by_text, ["t", "u"]).select("t", "u", "text", "asked").mapInArrow(extract, schema)
-    sorted_ = cut(contexts.groupBy("bucket").applyInArrow(_sort_task, "t long, u int, s int, stop int, a long, b long"))
-    out = out.unionByName(sorted_.where("a is null").select("t", "u", "s", "stop"))
-    waiting = sorted_.where("a is not null")
-    twice = waiting.groupBy("a", "b").agg(F.count("*").alias("n")).where("n > 1").select("a", "b")
-    return out.unionByName(waiting.join(twice, ["a", "b"], "left_semi").select("t", "u", "s", "stop"))
+    wanted = cut(by_text.join(copies, ["t", "u"]))
+    texts = skew_join(_named(docs), wanted, ["t", "u"], "copies", F.col("doc_id")).where("asked is not null")
+    contexts = texts.select("t", "u", "text", "asked").mapInArrow(extract, schema)
+    sorted_ = cut(contexts.groupBy("bucket").applyInArrow(_sort_task, "kind int, g long, f long, e int, t long, u int, s int, stop int, a long, b long"))
+    # classes that the sort confirmed, and those whose occurrences are all one place of copies of a text
+    sure = sorted_.where("kind = 0").select("g", "f", "e").distinct().withColumn("sure", F.lit(True))
+    repeated = cut(classes.where("n > 1").join(sure, ["g", "f", "e"], "left").where("sure or one = two").select("g", "f", "e", "n", F.lit(True).alias("sure")))
+    members = skew_join(found, repeated, ["g", "f", "e"], "n", F.xxhash64("t", "lo")).where("sure")
+    out = members.select("t", "u", F.col("lo").alias("s"), (F.col("lo") + F.col("span") + LENGTH).alias("stop"))
+    out = out.unionByName(sorted_.where("kind = 1").select("t", "u", "s", "stop"))
+    waiting = sorted_.where("kind = 2")
+    twice = waiting.groupBy("a", "b").agg(F.count("*").alias("times")).where("times > 1")
+    met = skew_join(waiting, twice, ["a", "b"], "times", F.xxhash64("t", "s")).where("times is not null")
+    return out.unionByName(met.select("t", "u", "s", "stop")), copies
 
 
 def remove_repeats(docs: DataFrame) -> DataFrame:
-    """Per document: n_bytes, n_removed, n_spans, kept_sha256."""
+    """Per document: n_bytes, n_removed, n_spans, kept_sha256, and whether anything was removed."""
     shared_folder(docs.sparkSession)
-    by_text = repeated_stretches(docs).groupBy("t", "u").agg(F.collect_set(F.struct("s", "stop")).alias("cut"))
+    stretches, copies = repeated_stretches(docs)
+    by_text = cut(stretches.groupBy("t", "u").agg(F.collect_set(F.struct("s", "stop")).alias("cut")).join(copies, ["t", "u"]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "text"):
@@ -339,7 +365,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
                 removed.append(int(gone.sum()))
                 spans.append(int(gone[0]) + int((gone[1:] & ~gone[:-1]).sum()))
                 digests.append(hashlib.sha256(text[~gone].tobytes()).hexdigest())
-            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(np.diff(offsets)), pa.array(removed, pa.int64()), pa.array(spans, pa.int64()), pa.array(digests, pa.string())], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
+            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(np.diff(offsets)), pa.array(removed, pa.int64()), pa.array(spans, pa.int64()), pa.array(digests, pa.string()), pa.array(np.array(removed) > 0)], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "repeated"])
 
-    joined = _named(docs).join(by_text, ["t", "u"], "left").select("doc_id", "text", "cut")
-    return joined.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    joined = skew_join(_named(docs), by_text, ["t", "u"], "copies", F.col("doc_id")).select("doc_id", "text", "cut")
+    return joined.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, repeated boolean")
