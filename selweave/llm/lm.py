@@ -5,41 +5,47 @@ inside each task before the shuffle. The ``TOP`` most frequent words (a fixed
 bound) are shipped to all tasks; the other words of a text are joined with the
 count table, where no word is frequent, and summed by text.
 
-Model: piece counts and weights come from a share of the training texts that
-grows with the corpus. Trainers of bounded size each take a pass over their
-texts; after every round their weights are averaged in groups, so neither the
-driver nor a task ever holds more than ``GROUP`` weight sets.
+Model: all training texts are turned into piece ids once, kept in the shared
+folder at two bytes a piece. Piece counts and the counts of classes after each
+piece come from all of them, and so does training: trainers stream over their
+share of the texts, one pass in ``ROUNDS`` rounds, and after every round their
+weights are averaged in groups, so neither the driver nor a task ever holds more
+than ``GROUP`` weight sets. The number of trainers grows with the pieces.
 
 Edge cases: a null text is empty and has the end token only; without training
 texts counts are 0 and the network keeps its first weights; repeated rows score
-alike; an empty table gives an empty result; other columns are dropped.
+alike; an empty table gives an empty result; other columns are dropped. Words
+are told apart by 96 bits of hash (odds of a clash about 1e-9 among 1e10 words).
 """
 
 from __future__ import annotations
 
 import io
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .attention import AttentionModel, Vocabulary, blocks, train
-from .common import IS_SPACE, LOWER, cut, edges, held_out, owner, plain_documents, prefix_hashes, slices, span_hashes, text_buffer
-from .pieces import MARK, load
+from .attention import AttentionModel, Trainer, Vocabulary, blocks
+from .common import IS_SPACE, LOWER, cut, edges, held_out, owner, plain_documents, prefix_hashes, skew_join, slices, span_hashes, text_buffer
 
 TOP = 100_000
-#: One of so many training texts trains the network, but LEAST_TEXTS of them where there are as many.
-SHARE = 32
-LEAST_TEXTS = 2000
-#: Tokens that a network should see; smaller samples are passed over several times.
-LEAST_TOKENS = 4_000_000
-TEXTS_A_TRAINER = 1500
+#: Pieces that one trainer streams over in all rounds together.
+PIECES_A_TRAINER = 8_000_000
+#: Pieces of a stored row, but that a text is never split.
+ROW = 1 << 15
 ROUNDS = 4
+RATE = 2e-2
 GROUP = 32
 #: Hash pair of the end token.
 END = (0, -1)
+#: End of a text among stored piece ids.
+STOP = 65_535
+#: Words whose pieces a process remembers.
+REMEMBERED = 400_000
 
 
 def words(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, ...]:
@@ -81,12 +87,43 @@ def word_counts(texts: DataFrame) -> DataFrame:
     return texts.select("text").mapInArrow(run, "a long, b int, c long").groupBy("a", "b").agg(F.sum("c").alias("c"))
 
 
-def _ids_of_words(model, raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Piece ids of words, each after a space: flat ids and their number a word."""
-    whole = raw.tobytes()
-    packed = [model.table[w] if "\n" not in w and MARK not in w else np.asarray(model.encode_chunk(MARK + w), model.table.kind).tobytes() for w in (whole[s:e].decode("utf-8", "replace") for s, e in zip(starts.tolist(), ends.tolist()))]
-    width = np.dtype(model.table.kind).itemsize
-    return np.frombuffer(b"".join(packed), model.table.kind), np.fromiter(map(len, packed), np.int64, len(packed)) // width
+class Pieces:
+    """Piece ids of single words, by the public library; a process keeps one for each model file."""
+
+    _kept: dict[str, Pieces] = {}
+
+    def __init__(self, path: str) -> None:
+        import sentencepiece
+
+        self.model = sentencepiece.SentencePieceProcessor(model_file=path)
+        self.size = self.model.get_piece_size()
+        if self.size > STOP:
+            raise ValueError("piece ids must fit in two bytes")
+        self.known: dict[bytes, bytes] = {}
+
+    @classmethod
+    def of(cls, path: str) -> Pieces:
+        if path not in cls._kept:
+            cls._kept[path] = cls(path)
+        return cls._kept[path]
+
+    def encode(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Flat ids of words, and their number a word."""
+        known = self.known
+        new = [w for w in words if w not in known]
+        if new:
+            if len(known) + len(new) > REMEMBERED:
+                known.clear()
+                new = words
+            found = self.model.encode([w.decode("utf-8", "replace") for w in new], out_type=int)
+            sizes = [2 * len(x) for x in found]
+            packed = np.fromiter(chain.from_iterable(found), np.uint16, sum(sizes) // 2).tobytes()
+            at = 0
+            for w, n in zip(new, sizes):
+                known[w] = packed[at : at + n]
+                at += n
+        packed = [known[w] for w in words]
+        return np.frombuffer(b"".join(packed), np.uint16), np.fromiter(map(len, packed), np.int64, len(packed)) // 2
 
 
 def _spread(flat: np.ndarray, sizes: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -97,21 +134,25 @@ def _spread(flat: np.ndarray, sizes: np.ndarray, which: np.ndarray) -> tuple[np.
     return flat[place], n
 
 
-def _sequences(model, raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, tuple[np.ndarray, ...]]:
-    """Piece ids of all texts in turn with -1 after each, their number a text, and the words' parts."""
+def _sequences(pieces: Pieces, raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, tuple[np.ndarray, ...]]:
+    """Piece ids of all texts in turn with STOP after each, their number a text, and the words' parts."""
     raw, starts, ends, h, check, text = words(raw, offsets)
     texts = len(offsets) - 1
     distinct, first, inverse = np.unique(h, return_index=True, return_inverse=True)
-    flat, sizes = _ids_of_words(model, raw, starts[first], ends[first])
-    ids, n = _spread(flat.astype(np.int32), sizes, inverse)
+    if len(h) and (check[first][inverse] != check).any():  # two words of one hash: tell them apart by both parts
+        _, first, inverse = np.unique(np.stack([h, check.astype(np.int64)]), axis=1, return_index=True, return_inverse=True)
+        inverse, distinct = inverse.ravel(), h[first]
+    whole = raw.tobytes()
+    flat, sizes = pieces.encode([whole[s:e] for s, e in zip(starts[first].tolist(), ends[first].tolist())])
+    ids, n = _spread(flat, sizes, inverse)
     number = np.bincount(text, weights=n, minlength=texts).astype(np.int64)
-    out = np.full(len(ids) + texts, -1, np.int32)
+    out = np.full(len(ids) + texts, STOP, np.uint16)
     out[np.arange(len(ids)) + np.repeat(np.arange(texts), number)] = ids
     return out, number + 1, (distinct, check[first], inverse, text)
 
 
 def _to_model(v: Vocabulary, ids: np.ndarray) -> np.ndarray:
-    return np.where(ids < 0, 1, v.index[ids])
+    return np.append(v.index, np.int32(v.end))[np.minimum(ids, len(v.index))]
 
 
 def _pack(weights: dict[str, np.ndarray]) -> bytes:
@@ -125,69 +166,86 @@ def _unpack(raw: bytes) -> dict[str, np.ndarray]:
         return {k: f[k] for k in f.files}
 
 
-def fit(training: DataFrame, model_path: str, total: int, share: int = SHARE, texts_a_trainer: int = TEXTS_A_TRAINER, rounds: int = ROUNDS) -> AttentionModel:
-    """Vocabulary and weights from one of ``share`` of the ``total`` training texts."""
-    share = max(1, min(share, total // LEAST_TEXTS))
-    own = training.where(F.pmod(F.xxhash64(F.lit("share"), "text"), F.lit(share)) == 0).select("text")
+def encoded_texts(texts: DataFrame, model_path: str) -> DataFrame:
+    """(round, pieces, ids): piece ids of whole texts, two bytes each, in rows of about ``ROW`` pieces dealt to the rounds in turn."""
 
-    def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pieces = load(model_path)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pieces, number = Pieces.of(model_path), 0
         for batch in slices(batches, "text"):
-            ids, number, _ = _sequences(pieces, *text_buffer(batch.column(0)))
-            ends = np.cumsum(number)
-            yield pa.RecordBatch.from_arrays([pa.array([ids[e - n : e].tobytes() for e, n in zip(ends, number)], pa.binary())], names=["ids"])
+            ids, sizes, _ = _sequences(pieces, *text_buffer(batch.column(0)))
+            ends = np.cumsum(sizes)
+            part = (ends - 1) // ROW
+            last = np.append(np.flatnonzero(part[1:] != part[:-1]), len(part) - 1)
+            stops = ends[last]
+            starts = np.concatenate([[0], stops[:-1]])
+            yield pa.RecordBatch.from_arrays([pa.array((number + np.arange(len(stops))) % ROUNDS, pa.int32()), pa.array(stops - starts, pa.int64()), pa.array([ids[s:e].tobytes() for s, e in zip(starts, stops)], pa.binary())], names=["round", "pieces", "ids"])
+            number += len(stops)
+
+    return texts.select("text").mapInArrow(run, "round int, pieces long, ids binary")
 
-    encoded = cut(own.mapInArrow(encode, "ids binary"))
-    texts, tokens = encoded.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("ids")) / 4, F.lit(1.0))).first()
-    passes = min(8.0, max(1.0, LEAST_TOKENS / max(tokens, 1.0)))
-    pieces = load(model_path)
-    size = len(pieces.pieces)
 
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _tallies(rows: DataFrame, size: int, cells) -> np.ndarray:
+    """Sum over all stored rows of how often ``cells`` (ids -> cell numbers below ``size``) names each cell. At most ``size`` rows reach the driver."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(size, np.int64)
         for batch in batches:
-            ids = np.frombuffer(b"".join(batch.column(0).to_pylist()), np.int32)
-            total += np.bincount(ids[ids >= 0], minlength=size)
+            for raw in batch.column(0):
+                total += np.bincount(cells(np.frombuffer(raw.as_buffer(), np.uint16)), minlength=size)
         at = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], names=["id", "c"])
-
-    counts = np.zeros(size, np.int64)
-    for r in encoded.mapInArrow(count, "id long, c long").groupBy("id").agg(F.sum("c").alias("c")).collect():  # at most one row a piece
-        counts[r["id"]] = r["c"]
-    v = Vocabulary.of(counts, texts)
-    model = AttentionModel(v)
-    if not texts:
+        yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(total[at])], names=["cell", "c"])
+
+    found = rows.select("ids").mapInArrow(run, "cell long, c long").groupBy("cell").agg(F.sum("c").alias("c")).toArrow()
+    out = np.zeros(size, np.int64)
+    out[found.column(0).to_numpy()] = found.column(1).to_numpy()
+    return out
+
+
+def fit(training: DataFrame, model_path: str, pieces_a_trainer: int = PIECES_A_TRAINER, rounds: int = ROUNDS) -> AttentionModel:
+    """Vocabulary, prior and weights from all training texts."""
+    encoded = cut(encoded_texts(training, model_path))
+    pieces = encoded.agg(F.coalesce(F.sum("pieces"), F.lit(0))).first()[0]
+    size = Pieces.of(model_path).size
+    counts = _tallies(encoded, size + 1, lambda ids: np.minimum(ids, size))
+    v = Vocabulary.of(counts[:size], int(counts[size]))
+    c = v.classes
+
+    def pairs(ids: np.ndarray) -> np.ndarray:
+        y = _to_model(v, ids)
+        before = np.concatenate([[v.end], y[:-1]])
+        return np.where(before == v.end, v.opening, before).astype(np.int64) * c + v.group[y]
+
+    model = AttentionModel(v, _tallies(encoded, len(v.group) * c, pairs).reshape(-1, c))
+    if not pieces:
         return model
-    trainers = max(1, texts // texts_a_trainer)
-    dealt = encoded.select("ids", F.pmod(F.xxhash64(F.lit("trainer"), "ids"), F.lit(trainers)).alias("trainer"), F.pmod(F.xxhash64(F.lit("round"), "ids"), F.lit(rounds)).alias("round"))
+    trainers = max(1, -(-pieces // pieces_a_trainer))
     for k in range(rounds):
-        part = dealt.where(F.col("round") == k)
-        if k == 0:  # a common start, which averages need
-            part = part.where("trainer = 0")
-        found = part.groupBy("trainer").applyInArrow(_trainer(v, model.p, k, passes), "trainer long, tokens long, weights binary")
+        found = encoded.where(F.col("round") == k).coalesce(trainers).select("ids").mapInArrow(_trainer(model, k), "tokens long, weights binary").withColumn("trainer", F.spark_partition_id().cast("long"))
         held = trainers
         while held > GROUP:
             held = -(-held // GROUP)
             found = found.withColumn("trainer", F.pmod("trainer", F.lit(held))).groupBy("trainer").applyInArrow(_average, "trainer long, tokens long, weights binary")
-        rows = found.toArrow()
+        rows = found.select("trainer", "tokens", "weights").toArrow()
         if rows.num_rows:
             model.p = _unpack(_average(rows).column("weights")[0].as_py())
     return model
 
 
-def _trainer(v: Vocabulary, weights: dict[str, np.ndarray], number: int, passes: float):
-    """One pass of a round over a trainer's texts, from the weights of the round before."""
+def _trainer(model: AttentionModel, number: int):
+    """One round over a trainer's rows as they stream by, from the weights of the round before."""
 
-    def one(table: pa.Table) -> pa.Table:
-        local = AttentionModel(v)
-        local.p = {name: x.copy() for name, x in weights.items()}
-        texts = sorted(table.column("ids").to_pylist())
-        ids = np.frombuffer(b"".join(texts), np.int32)
-        inputs, targets, _ = blocks(_to_model(v, ids), np.array([len(t) // 4 for t in texts], np.int64))
-        train(local, inputs, targets, passes, rate=4e-3 * 0.8**number)
-        return pa.table({"trainer": pa.array([table.column("trainer")[0].as_py()], pa.int64()), "tokens": pa.array([len(ids)], pa.int64()), "weights": pa.array([_pack(local.p)], pa.binary())})
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        trainer, tokens = Trainer(model, RATE * 0.6**number), 0
+        for batch in batches:
+            for raw in batch.column(0):
+                ids = np.frombuffer(raw.as_buffer(), np.uint16)
+                ends = np.flatnonzero(ids == STOP) + 1
+                trainer.learn(*blocks(_to_model(model.v, ids), np.diff(ends, prepend=0), model.v.opening)[:2])
+                tokens += len(ids)
+        if tokens:
+            yield pa.RecordBatch.from_arrays([pa.array([tokens], pa.int64()), pa.array([_pack(trainer.model.p)], pa.binary())], names=["tokens", "weights"])
 
-    return one
+    return run
 
 
 def _average(table: pa.Table) -> pa.Table:
@@ -195,8 +253,8 @@ def _average(table: pa.Table) -> pa.Table:
     tokens = table.column("tokens").to_pylist()
     total = max(1, sum(tokens))
     out: dict[str, np.ndarray] = {}
-    for n, raw in zip(tokens, table.column("weights").to_pylist()):
-        for k, x in _unpack(raw).items():
+    for n, raw in zip(tokens, table.column("weights")):
+        for k, x in _unpack(raw.as_py()).items():
             out[k] = out.get(k, 0) + x.astype(np.float64) * (n / total)
     packed = _pack({k: x.astype(np.float32) for k, x in out.items()})
     return pa.table({"trainer": pa.array([table.column("trainer")[0].as_py()], pa.int64()), "tokens": pa.array([total], pa.int64()), "weights": pa.array([packed], pa.binary())})
@@ -215,20 +273,20 @@ def score(spark: SparkSession, docs: DataFrame, model_path: str, is_held_out=Non
     top_a, top_b, top_c = top_a[order], top_b[order], top_c[order]
     end = top_c[(top_a == END[0]) & (top_b == END[1])]
     end_count = int(end[0]) if len(end) else int(counts.where((F.col("a") == END[0]) & (F.col("b") == END[1])).agg(F.coalesce(F.max("c"), F.lit(0))).first()[0])
-    model = fit(training, model_path, end_count)
+    model = fit(training, model_path)
     schema = "doc_id long, held boolean, t long, u int, n_tokens long, known long, part double, score double, rare array<struct<a: long, b: int, m: int>>"
     kind = pa.struct([("a", pa.int64()), ("b", pa.int32()), ("m", pa.int32())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pieces = load(model_path)
+        pieces = Pieces.of(model_path)
         v = model.v
         for batch in slices(batches, "text"):
             texts = batch.num_rows
             ids, number, (distinct, check, inverse, text) = _sequences(pieces, *text_buffer(batch.column(4)))
-            inputs, targets, block_text = blocks(_to_model(v, ids), number)
+            tokens = _to_model(v, ids)
+            inputs, targets, block_text = blocks(tokens, number, v.opening)
             logs = model.text_logs(inputs, targets, block_text, texts)
-            tail = np.where(ids < 0, 0.0, v.tail_log[ids])
-            logs += np.add.reduceat(tail, np.cumsum(number) - number)
+            logs += v.tail_log * np.add.reduceat(tokens == v.unseen, np.cumsum(number) - number, dtype=np.int64)
             at = np.minimum(np.searchsorted(top_a, distinct), max(len(top_a) - 1, 0))
             hit = (top_a[at] == distinct) & (top_b[at] == check) if len(top_a) else np.zeros(len(distinct), bool)
             c = np.where(hit, top_c[at], 0) if len(top_a) else np.zeros(len(distinct), np.int64)
@@ -242,9 +300,11 @@ def score(spark: SparkSession, docs: DataFrame, model_path: str, is_held_out=Non
             yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), batch.column(1), batch.column(2), batch.column(3), pa.array(n_words + 1, pa.int64()), pa.array(known), pa.array(part), pa.array(logs / np.log(10.0)), rare], names=["doc_id", "held", "t", "u", "n_tokens", "known", "part", "score", "rare"])
 
     scored = cut(rows.mapInArrow(run, schema))
-    rare = scored.where(F.size("rare") > 0).select("t", "u", "rare").dropDuplicates(["t", "u"]).select("t", "u", F.explode("rare").alias("r")).select("t", "u", "r.*")
-    sums = rare.join(counts, ["a", "b"]).groupBy("t", "u").agg(F.sum("m").cast("long").alias("more"), F.sum(F.col("m") * F.log10(F.col("c") + 1.0)).alias("rest"))
-    whole = scored.select("doc_id", "held", "t", "u", "n_tokens", "known", "part", "score").join(sums, ["t", "u"], "left")
+    # one row a text: its rare words, and how many documents have it
+    rare = scored.where(F.size("rare") > 0).groupBy("t", "u").agg(F.first("rare").alias("rare"), F.count("*").alias("copies"))
+    each = rare.select("t", "u", "copies", F.explode("rare").alias("r")).select("t", "u", "copies", "r.*")
+    sums = cut(each.join(counts, ["a", "b"]).groupBy("t", "u").agg(F.max("copies").alias("copies"), F.sum("m").cast("long").alias("more"), F.sum(F.col("m") * F.log10(F.col("c") + 1.0)).alias("rest")))
+    whole = skew_join(scored.select("doc_id", "held", "t", "u", "n_tokens", "known", "part", "score"), sums, ["t", "u"], "copies", F.col("doc_id"))
     return whole.select(
         "doc_id", F.col("held").alias("held_out"), "n_tokens", (F.col("known") + F.coalesce("more", F.lit(0))).cast("long").alias("n_known"), F.lit(int(total)).cast("long").alias("train_tokens"),
         (F.col("part") + F.coalesce("rest", F.lit(0.0)) - F.col("n_tokens") * F.lit(float(np.log10(total + kinds + 1)))).alias("base_score"), "score",
