@@ -8,7 +8,9 @@ and a literal is reported if the most sensitive name that it reaches scores
 high enough together with the literal's own look. The rest of a line after
 ``name =`` or ``name:`` (.env, INI, YAML, properties) is a literal without
 quotes, unless it is a call or a subscript, or reads a name that an earlier
-assignment holds. Block scalars and values continued on further lines are not
+assignment holds. Literals may stand in one or three quotes or in back quotes;
+targets may be subscripts; the text of an element belongs to its name. Values
+that are plain words apart from spaces are prose and not reported. Block scalars and values continued on further lines are not
 joined.
 
 Edge cases: a null text is empty and has no spans; an empty table gives an
@@ -48,16 +50,21 @@ HARMLESS = {"public": -3, "name": -2, "id": -1, "path": -2, "file": -2, "url": -
 #: Literals that stand for "nothing here yet".
 PLACEHOLDERS = re.compile(r"(?i)^(?:change_?me|your[_-].*|example.*|placeholder|dummy|none|null|true|false|todo|test|x+|\*+|<.*>|\$\{.*\}|%\(.*\)s|\{\{.*\}\})$")
 
-_LITERAL = r"""(?:"(?:[^"\\\n]|\\.)*+"|'(?:[^'\\\n]|\\.)*+')"""
+#: Quoted by three marks (over lines), one mark, or a back quote.
+_LITERAL = r"""(?:\"{3}(?:[^"\\]|\\.|"(?!""))*+"{3}|'{3}(?:[^'\\]|\\.|'(?!''))*+'{3}|"(?:[^"\\\n]|\\.)*+"|'(?:[^'\\\n]|\\.)*+'|`(?:[^`\\\n]|\\.)*+`)"""
 _NAME = r"[A-Za-z_][A-Za-z0-9_.\-]*"
 #: A name that is read: no dot at its end, which would be a join, and perhaps a sigil.
 _READ = r"[A-Za-z_][A-Za-z0-9_\-]*(?:\.[A-Za-z0-9_\-]+)*"
 _TERM = rf"(?:{_LITERAL}|\$?{_READ})"
 _OPERATOR = r"[\x20\t]*(?::=|=>|->|=(?!=)|:(?!:))[\x20\t]*"
-#: name (= | : | :=| => | ->) term ((+ | .) term)*; the name may be quoted, as in JSON.
-_PAIR = re.compile(rf"""(?<![A-Za-z0-9_.\-])(?P<q>["']?)(?P<name>{_NAME})(?P=q){_OPERATOR}(?P<value>{_TERM}(?:[\x20\t]*[+.][\x20\t]*{_TERM})*)""")
+#: name (= | : | :=| => | ->) term ((+ | .) term)*; the name may be quoted, as in JSON, and be a subscript.
+_PAIR = re.compile(rf"""(?<![A-Za-z0-9_.\-])(?P<q>["']?)(?P<name>{_NAME})(?P=q)\]?{_OPERATOR}(?P<value>{_TERM}(?:[\x20\t]*[+.][\x20\t]*{_TERM})*)""")
 _TERMS = re.compile(rf"(?P<literal>{_LITERAL})|(?P<name>{_READ})")
-_MAYBE_PAIR = re.compile(r"""[A-Za-z0-9_.\-"'][\x20\t]*(?::=|=>|->|=|:)[\x20\t]*\S""")
+_MAYBE_PAIR = re.compile(r"""[A-Za-z0-9_.\-"'\]][\x20\t]*(?::=|=>|->|=|:)[\x20\t]*\S|</""")
+#: An element whose text is its value.
+_ELEMENT = re.compile(rf"<(?P<name>{_NAME})(?:\s[^<>]*+)?>[\x20\t]*+(?P<value>[^<>\s](?:[^<>\n]*[^<>\s])?)[\x20\t]*</(?P=name)\s*>")
+#: Words and nothing else.
+_PROSE = re.compile(r"[A-Za-z',.!?]+(?:\x20[A-Za-z',.!?]+)+")
 #: A line of configuration syntax: the name stands first, the value is the rest.
 _LINE = re.compile(rf"""^[\x20\t]*+(?:(?:export|set|-)[\x20\t]++)?(?P<q>["']?)(?P<name>{_NAME})(?P=q){_OPERATOR}(?P<value>[^\s"'\[{{|>&][^\n]*+)""", re.M)
 _COMMENT = re.compile(r"[\x20\t][#;]")
@@ -89,7 +96,7 @@ def name_score(name: str) -> int:
 def literal_score(value: str) -> float:
     """Looks of a literal: length, mixture and entropy; below 0 for placeholders and prose."""
     n = len(value)
-    if n < 6 or PLACEHOLDERS.match(value) or value.count(" ") > 1:
+    if n < 6 or PLACEHOLDERS.match(value) or value.count(" ") > 1 or _PROSE.fullmatch(value):
         return -9.0
     counts = Counter(value)
     entropy = -sum(c / n * math.log2(c / n) for c in counts.values())
@@ -112,11 +119,13 @@ def lex(text: str) -> list[tuple[str, list[tuple[str, int, int]], list[str], tup
         literals, names = [], []
         for t in _TERMS.finditer(text, m.start("value"), m.end("value")):
             if t["literal"] is not None:
-                literals.append((t["literal"][1:-1], t.start() + 1, t.end() - 1))
+                k = 3 if t["literal"][:3] in ('"""', "'''") and len(t["literal"]) >= 6 else 1
+                literals.append((t["literal"][k:-k], t.start() + k, t.end() - k))
             else:
                 names.append(t["name"])
         out.append((m.start("name"), m["name"], literals, names, bare.pop(m.start("name"), (None, None))[1]))
     out += [(at, name, [], [], value) for at, (name, value) in bare.items()]
+    out += [(m.start(), m["name"], [(m["value"], m.start("value"), m.end("value"))], [], None) for m in _ELEMENT.finditer(text)]
     return [x[1:] for x in sorted(out, key=lambda x: x[0])]
 
 

@@ -42,3 +42,25 @@ def test_scan_is_linear(text):
     began = time.monotonic()
     secrets.all_spans(text)
     assert time.monotonic() - began < 20
+
+
+@pytest.mark.parametrize(
+    "text, secret",
+    [
+        ('os.environ["DB_PWD"] = "xK3nQ9vT2m"', "xK3nQ9vT2m"),
+        ("config['credential'] = 'zz81KwPq04'", "zz81KwPq04"),
+        ("const passphrase = `m4Tq8ZpL0x`;", "m4Tq8ZpL0x"),
+        ('private_key = """MIIEow0\nq9Xv7Kd2"""', "MIIEow0\nq9Xv7Kd2"),
+        ("<credential type='a'> p0Wq7Zr5Lm </credential>", "p0Wq7Zr5Lm"),
+        ("passphrase: s3cr3tValue99", "s3cr3tValue99"),
+        ('base = "q7Zr5Lmx81"\nother = base\nmy_credential = other', "q7Zr5Lmx81"),
+    ],
+)
+def test_more_syntax(text, secret):
+    at = text.index(secret)
+    assert (at, 3, at + len(secret)) in secrets.all_spans(text)[1]
+
+
+@pytest.mark.parametrize("text", ['credential = "plain text"', "passphrase: ask the owner", "<title>hunter2hunter2</title>", 'greeting["name"] = "xK3nQ9vT2m"'])
+def test_prose_and_harmless_names_stay(text):
+    assert secrets.all_spans(text)[1] == []
