@@ -2,14 +2,11 @@
 
 from __future__ import annotations
 
-import pickle
-
 import numpy as np
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .dens import TASK_TUPLES, attribute_order
+from .dens import attribute_order, train_rounds
 from .nets import Net, train
 from .relation import Dictionary, bit_matrix
 
@@ -65,16 +62,16 @@ class ConditionalNets:
 
 
 def fit(tuples: DataFrame, dic: Dictionary, order: str = "random", hidden: tuple[int, ...] = (50, 50), epochs: int = 100, seed: int = 0) -> ConditionalNets:
-    """One task an attribute; each takes ``TASK_TUPLES`` distinct tuples at most, picked by hash."""
+    """All tuples; the attributes' networks are trained side by side."""
     attrs = list(dic.attrs)
     model = ConditionalNets([dic.cards[a] for a in attrs], attribute_order(attrs, order, seed), hidden, seed)
-    picked = tuples.select(*attrs, F.col("mult").cast("double").alias("_w")).orderBy(F.xxhash64(*attrs)).limit(TASK_TUPLES)
+    rows = tuples.select(*attrs, F.col("mult").cast("double").alias("_w"))
 
-    def learn(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-        model.learn(key[0], rows[attrs].to_numpy(np.int64), rows["_w"].to_numpy(float), epochs, seed)
-        return pd.DataFrame({"k": [key[0]], "net": [pickle.dumps(model.nets[key[0]])]})
+    def learn(k: int, weights: list[np.ndarray], codes: np.ndarray, w: np.ndarray, own: int, rate: float) -> list[np.ndarray]:
+        model.nets[k].put(weights)
+        model.learn(k, codes, w, own, seed, rate)
+        return model.nets[k].parameters()
 
-    dealt = picked.withColumn("_k", F.explode(F.array(*(F.lit(k) for k in range(len(attrs))))))
-    for r in dealt.groupBy("_k").applyInPandas(learn, "k int, net binary").collect():  # one row an attribute
-        model.nets[r["k"]] = pickle.loads(r["net"])
+    for net, weights in zip(model.nets, train_rounds(rows, attrs, [n.parameters() for n in model.nets], learn, epochs, 2e-3)):
+        net.put(weights)
     return model

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import pickle
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -13,8 +13,10 @@ from pyspark.sql import functions as F
 from .nets import Net, train
 from .relation import Dictionary, bit_matrix, one_hot_matrix
 
-#: Distinct tuples one training task takes at most; of more, a hash picks so many (``fit_averaged`` takes all).
+#: Distinct tuples one training task takes; of more, several tasks train side by side and their weights are averaged.
 TASK_TUPLES = 200_000
+#: Weight sets that one task, or the driver, averages at once.
+GROUP = 32
 
 
 def attribute_order(attrs: list[str], kind: str = "random", seed: int = 0, before: list[tuple[str, str]] | None = None) -> list[int]:
@@ -31,6 +33,17 @@ def attribute_order(attrs: list[str], kind: str = "random", seed: int = 0, befor
     return [attrs.index(x) for x in out]
 
 
+def distinct_rows(codes: np.ndarray, cards: list[int]) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct rows, and the number of each row among them; by one number a row where the domain allows."""
+    if not codes.shape[1]:
+        return np.zeros((min(1, len(codes)), 0), codes.dtype), np.zeros(len(codes), np.int64)
+    if np.prod(np.array(cards, float)) < 2**62 and len(codes) and (codes < np.array(cards)).all():
+        _, first, back = np.unique(np.ravel_multi_index(tuple(codes.T), cards), return_index=True, return_inverse=True)
+        return codes[first], back.ravel()
+    rows, back = np.unique(codes, axis=0, return_inverse=True)
+    return rows, back.ravel()
+
+
 class MaskedNet:
     """p(tuple) as a product of Bernoulli conditionals, one a position of the encoding.
 
@@ -94,7 +107,7 @@ class MaskedNet:
         card, slots = self.cards[a], self.slots[a]
         if card == 1 and not len(slots):
             return np.ones((len(codes), 1))
-        prefix, back = np.unique(codes[:, self.order[:k]], axis=0, return_inverse=True)
+        prefix, back = distinct_rows(codes[:, self.order[:k]], [self.cards[x] for x in self.order[:k]])
         rows = np.zeros((len(prefix), len(self.cards)), np.int64)
         rows[:, self.order[:k]] = prefix
         out = np.empty((len(prefix), card))
@@ -115,9 +128,10 @@ class MaskedNet:
         w = (weight / (weight.mean() or 1.0)).astype(np.float32)[:, None]
 
         def slope(rows: np.ndarray, z: np.ndarray) -> tuple[float, np.ndarray]:
-            y = x[rows]
-            loss = float((w[rows] * np.logaddexp(0, np.where(y > 0, -z, z))).sum() / len(rows))
-            return loss, w[rows] * (1 / (1 + np.exp(-np.clip(z, -40, 40))) - y) / len(rows)
+            y, own = x[rows], w[rows]
+            p = 1 / (1 + np.exp(-np.clip(z, -40, 40)))
+            loss = float(-(own * np.log(np.maximum(np.where(y, p, 1 - p), np.float32(1e-30)))).sum() / len(rows))
+            return loss, own * (p - y) / np.float32(len(rows))
 
         def swap(done: int) -> None:
             self.net.masks = cycle[done % len(cycle)]
@@ -160,26 +174,69 @@ def _weighted(tuples: DataFrame) -> DataFrame:
     return tuples if "mult" in tuples.columns else tuples.withColumn("mult", F.lit(1))
 
 
-def fit(tuples: DataFrame, dic: Dictionary, orders: int = 1, order: str = "random", before: list[tuple[str, str]] | None = None, hidden: tuple[int, ...] = (100, 100), encoding: str = "binary", unit: str = "attribute", leak: str = "renormalise", epochs: int = 100, dropout: float = 0.0, weight: str = "mult", seed: int = 0, start: list[MaskedNet] | None = None, rate: float = 2e-3) -> list[MaskedNet]:
-    """One network an order, each trained in its own task on the same tuples.
+def train_rounds(rows: DataFrame, attrs: list[str], start: list[list[np.ndarray]], learn: Callable[[int, list[np.ndarray], np.ndarray, np.ndarray, int, float], list[np.ndarray]], epochs: int, rate: float, rounds: int = 4) -> list[list[np.ndarray]]:
+    """Weight sets trained on all rows (attributes and ``_w``), side by side.
 
-    A task takes ``TASK_TUPLES`` distinct tuples at most, picked by hash; ``weight`` names
-    the column of loss weights. ``start`` continues from earlier networks.
+    ``learn(k, weights, codes, w, epochs, rate)`` trains set ``k``. Rows are dealt
+    by hash to as many trainers as ``TASK_TUPLES`` asks for; after each round the
+    trainers' weights are averaged by rows, in groups of ``GROUP`` first. A single
+    trainer has nothing to average and takes all epochs in one round.
+    """
+    trainers = max(1, -(-rows.count() // TASK_TUPLES))
+    rounds = min(rounds, max(1, epochs)) if trainers > 1 else 1
+    dealt = rows.withColumn("_trainer", F.pmod(F.xxhash64(*attrs), F.lit(trainers))).withColumn("_k", F.explode(F.array(*(F.lit(k) for k in range(len(start))))))
+    schema = "k int, trainer long, n double, w binary"
+
+    def average(parts: pd.DataFrame) -> pd.DataFrame:
+        n = parts["n"].sum()
+        mean = [sum(p.astype(np.float64) * (x / n) for p, x in zip(ps, parts["n"])).astype(np.float32) for ps in zip(*map(pickle.loads, parts["w"]))]
+        return pd.DataFrame({"k": [int(parts["k"].iloc[0])], "trainer": [int(parts["trainer"].iloc[0])], "n": [n], "w": [pickle.dumps(mean)]})
+
+    now = [list(x) for x in start]
+    for r in range(rounds):
+        own, slower = epochs // rounds + (r < epochs % rounds), rate * (1 - 0.75 * r / rounds)
+
+        def one(key: tuple, part: pd.DataFrame) -> pd.DataFrame:
+            found = learn(key[0], now[key[0]], part[attrs].to_numpy(np.int64), part["_w"].to_numpy(float), own, slower)
+            return pd.DataFrame({"k": [key[0]], "trainer": [key[1]], "n": [float(len(part))], "w": [pickle.dumps(found)]})
+
+        found, held = dealt.groupBy("_k", "_trainer").applyInPandas(one, schema), trainers
+        while held > GROUP:
+            held = -(-held // GROUP)
+            found = found.withColumn("trainer", F.pmod("trainer", F.lit(held))).groupBy("k", "trainer").applyInPandas(average, schema)
+        for k, parts in found.toPandas().groupby("k"):  # at most GROUP weight sets of each
+            now[k] = pickle.loads(average(parts)["w"][0])
+    return now
+
+
+def fit(tuples: DataFrame, dic: Dictionary, orders: int = 1, order: str = "random", before: list[tuple[str, str]] | None = None, hidden: tuple[int, ...] = (100, 100), encoding: str = "binary", unit: str = "attribute", leak: str = "renormalise", epochs: int = 100, dropout: float = 0.0, weight: str = "mult", seed: int = 0, start: list[MaskedNet] | None = None, rate: float = 2e-3, share: float = 1.0, masks: int = 0) -> list[MaskedNet]:
+    """One network an order, all trained side by side on all tuples.
+
+    ``share`` below 1 trains on that part of the distinct tuples, picked by hash;
+    ``weight`` names the column of loss weights; ``masks`` above 1 takes so many
+    draws of the hidden units' connections in turn, one a minibatch. ``start``
+    continues from earlier networks.
     """
     if start is None:
         cards = [dic.cards[a] for a in dic.attrs]
         start = [MaskedNet(cards, attribute_order(dic.attrs, order, seed + k, before), hidden, encoding, unit, leak, seed + k) for k in range(orders)]
-    picked = _weighted(tuples).select(*dic.attrs, F.col(weight).cast("double").alias("_w")).orderBy(F.xxhash64(*dic.attrs)).limit(TASK_TUPLES)
-    per_order = picked.withColumn("_order", F.explode(F.array(*(F.lit(k) for k in range(len(start))))))
-    attrs = list(dic.attrs)
-
-    def learn(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-        model = start[key[0]]
-        model.learn(rows[attrs].to_numpy(np.int64), rows["_w"].to_numpy(float), epochs, dropout=dropout, seed=seed, rate=rate)
-        return pd.DataFrame({"k": [key[0]], "model": [pickle.dumps(model)]})
-
-    found = per_order.groupBy("_order").applyInPandas(learn, "k int, model binary").collect()  # one network a row
-    return [pickle.loads(r["model"]) for r in sorted(found, key=lambda r: r["k"])] or start
+    rows = _weighted(tuples).select(*dic.attrs, F.col(weight).cast("double").alias("_w"))
+    if share < 1:
+        rows = rows.where(F.pmod(F.xxhash64(F.lit(seed), *dic.attrs), F.lit(1 << 30)) < int(share * (1 << 30)))
+
+    def learn(k: int, weights: list[np.ndarray], codes: np.ndarray, w: np.ndarray, own: int, slower: float) -> list[np.ndarray]:
+        model = pickle.loads(pickle.dumps(start[k]))
+        model.net.put(weights)
+        cycle = [model.draw_masks(seed + 1_000 * j) for j in range(masks)] if masks > 1 else None
+        model.learn(codes, w, own, dropout=dropout, seed=seed, rate=slower, cycle=cycle)
+        return model.net.parameters()
+
+    out = []
+    for model, weights in zip(start, train_rounds(rows, list(dic.attrs), [m.net.parameters() for m in start], learn, epochs, rate)):
+        model = pickle.loads(pickle.dumps(model))
+        model.net.put(weights)
+        out.append(model)
+    return out
 
 
 def fine_tune(models: list[MaskedNet], delta: DataFrame, dic: Dictionary, epochs: int = 10, dropout: float = 0.1, rate: float = 5e-4, seed: int = 1) -> list[MaskedNet]:

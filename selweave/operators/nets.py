@@ -21,6 +21,11 @@ class Net:
     def parameters(self) -> list[np.ndarray]:
         return [*self.weights, *self.shifts]
 
+    def put(self, parameters: list[np.ndarray]) -> None:
+        """Take other weights of the same shapes."""
+        parameters = [np.array(p, np.float32) for p in parameters]
+        self.weights, self.shifts = parameters[: len(self.weights)], parameters[len(self.weights) :]
+
     def size_bytes(self) -> int:
         return sum(p.nbytes for p in self.parameters())
 
@@ -52,24 +57,33 @@ class Net:
 
 
 class Adam:
-    def __init__(self, parameters: list[np.ndarray], rate: float) -> None:
-        self.p, self.rate, self.t = parameters, rate, 0
-        self.m = [np.zeros_like(x) for x in parameters]
-        self.s = [np.zeros_like(x) for x in parameters]
+    """All parameters are stepped as one flat vector; each keeps its shape as a view of it."""
+
+    def __init__(self, net: Net, rate: float) -> None:
+        parts = net.parameters()
+        self.flat = np.concatenate([p.ravel() for p in parts]).astype(np.float32)
+        views, at = [], 0
+        for p in parts:
+            views.append(self.flat[at : at + p.size].reshape(p.shape))
+            at += p.size
+        net.weights, net.shifts = views[: len(net.weights)], views[len(net.weights) :]
+        self.rate, self.t = rate, 0
+        self.m, self.s = np.zeros_like(self.flat), np.zeros_like(self.flat)
 
     def step(self, gradients: list[np.ndarray], scale: float = 1.0) -> None:
         self.t += 1
-        rate = self.rate * scale * np.sqrt(1 - 0.999**self.t) / (1 - 0.9**self.t)
-        for p, m, s, g in zip(self.p, self.m, self.s, gradients):
-            m += 0.1 * (g - m)
-            s += 0.001 * (g * g - s)
-            p -= (rate * m / (np.sqrt(s) + 1e-8)).astype(p.dtype)
+        rate = np.float32(self.rate * scale * np.sqrt(1 - 0.999**self.t) / (1 - 0.9**self.t))
+        g = np.concatenate([x.ravel() for x in gradients]).astype(np.float32, copy=False)
+        self.m += np.float32(0.1) * (g - self.m)
+        g *= g
+        self.s += np.float32(0.001) * (g - self.s)
+        self.flat -= rate * self.m / (np.sqrt(self.s) + np.float32(1e-8))
 
 
 def train(net: Net, n: int, slope: Callable[[np.ndarray, np.ndarray], tuple[float, np.ndarray]], inputs: Callable[[np.ndarray], np.ndarray], epochs: int, batch: int, rate: float, seed: int, dropout: float = 0.0, before: Callable[[int], None] | None = None) -> list[float]:
     """Minibatch Adam with a falling rate. ``slope(rows, outputs)`` gives the batch's loss and its slope; returns losses by epoch."""
     draw = np.random.default_rng(seed)
-    adam = Adam(net.parameters(), rate)
+    adam = Adam(net, rate)
     total, losses, done = max(1, epochs * -(-n // batch)), [], 0
     for _ in range(epochs):
         order, loss = draw.permutation(n), 0.0
@@ -83,4 +97,5 @@ def train(net: Net, n: int, slope: Callable[[np.ndarray, np.ndarray], tuple[floa
             loss += one * len(rows)
             done += 1
         losses.append(loss / max(n, 1))
+    net.weights, net.shifts = [w.copy() for w in net.weights], [b.copy() for b in net.shifts]
     return losses

@@ -120,12 +120,78 @@ def box(models: list, low: np.ndarray, high: np.ndarray, method: str = "auto", *
     return float(np.mean(out))
 
 
-def estimate(spark: SparkSession, models: list, q: Queries, rows: int, method: str = "auto", samples: int = 500, seed: int = 0, tasks: int = 32) -> DataFrame:
-    """(qid, est_rows); queries are spread over tasks, the models travel with the job."""
+def enumerate_many(model: object, low: np.ndarray, high: np.ndarray) -> np.ndarray:
+    """Sums over the points of many boxes; boxes that stop at one attribute share a pass of the model."""
+    out = np.ones(len(low))
+    upto = np.array([prefix_length(model, lo, hi) for lo, hi in zip(low, high)], np.int64)
+    for u in np.unique(upto[upto > 0]):
+        own, asked = model.order[:u], np.flatnonzero(upto == u)
+        width = high[np.ix_(asked, own)] - low[np.ix_(asked, own)] + 1
+        size = width.prod(axis=1)
+        which = np.repeat(np.arange(len(asked)), size)
+        at = np.arange(len(which)) - np.repeat(np.cumsum(size) - size, size)
+        codes = np.zeros((len(which), len(model.cards)), np.int64)
+        for j in range(u - 1, -1, -1):
+            w = width[which, j]
+            codes[:, own[j]] = low[asked[which], own[j]] + at % w
+            at //= w
+        out[asked] = np.bincount(which, model.prob(codes, int(u)), len(asked))
+    return out
+
+
+def progressive_many(model: object, low: np.ndarray, high: np.ndarray, samples: int, seeds: list) -> np.ndarray:
+    """The progressive walk of many boxes side by side: paths that agree so far share one conditional."""
+    n, m = low.shape
+    upto = np.array([prefix_length(model, lo, hi) for lo, hi in zip(low, high)], np.int64)
+    draws = np.stack([np.random.default_rng(s).random((samples, m)) for s in seeds]) if n else np.zeros((0, samples, m))
+    codes, mean = np.zeros((n * samples, m), np.int64), np.ones(n * samples)
+    box_of = np.repeat(np.arange(n), samples)
+    for k in range(int(upto.max()) if n else 0):
+        a = model.order[k]
+        rows = np.flatnonzero(upto[box_of] > k)
+        p = model.conditional(codes[rows], k)
+        at = np.arange(p.shape[1])
+        lo, hi = low[box_of[rows], a][:, None], high[box_of[rows], a][:, None]
+        up = np.cumsum(np.where((at >= lo) & (at <= hi), p, 0.0), axis=1)
+        total = up[:, -1]
+        mean[rows] *= total
+        x = (up < (draws.reshape(-1, m)[rows, k] * total)[:, None]).sum(axis=1)
+        codes[rows, a] = np.clip(x, lo[:, 0], hi[:, 0])
+    return mean.reshape(n, samples).mean(axis=1)
+
+
+#: Paths or points that are judged side by side.
+TOGETHER = 200_000
+
+
+def boxes(models: list, low: np.ndarray, high: np.ndarray, method: str, samples: int, seeds: list) -> np.ndarray:
+    """Mean over the models of many boxes; ``auto`` enumerates boxes of up to ``samples`` points and walks the others."""
+    cards = np.array(models[0].cards)
+    out = np.zeros(len(low))
+    sound = np.flatnonzero((low <= high).all(axis=1) & (high < cards).all(axis=1))
+    for m in models:
+        few = np.array([points(m, low[i], high[i]) <= samples for i in sound], bool)
+        if method in ("uniform", "adaptive", "enumerate"):
+            out[sound] += [METHODS[method](m, low[i], high[i], samples=samples, seed=seeds[i]) for i in sound]
+            continue
+        walk = sound if method == "progressive" else sound[~few]
+        step = max(1, TOGETHER // samples)
+        for part in (walk[k : k + step] for k in range(0, len(walk), step)):
+            out[part] += progressive_many(m, low[part], high[part], samples, [seeds[i] for i in part])
+        rest = sound[few] if method == "auto" else sound[:0]
+        for part in (rest[k : k + step] for k in range(0, len(rest), step)):
+            out[part] += enumerate_many(m, low[part], high[part])
+    return out / len(models)
+
+
+def estimate(spark: SparkSession, models: list, q: Queries, rows: int, method: str = "auto", samples: int = 500, seed: int = 0, tasks: int = 16) -> DataFrame:
+    """(qid, est_rows); queries are spread over tasks, the models travel with the job. Boxes of a batch are judged side by side."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for part in batches:
-            found = [box(models, np.array(lo), np.array(hi), method, samples=samples, seed=[seed, int(i)]) for i, lo, hi in zip(part["qid"], part["low"], part["high"])]
-            yield pd.DataFrame({"qid": part["qid"], "est_rows": np.array(found, float) * rows})
+            if len(part):
+                low, high = (np.stack(part[c].to_list()).astype(np.int64) for c in ("low", "high"))
+                found = boxes(models, low, high, method, samples, [[seed, int(i)] for i in part["qid"]])
+                yield pd.DataFrame({"qid": part["qid"], "est_rows": found * rows})
 
     return q.frame(spark).repartition(tasks, "qid").mapInPandas(run, "qid long, est_rows double")
