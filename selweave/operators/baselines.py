@@ -104,7 +104,9 @@ def grid_estimate(grid: DataFrame, bounds: dict[str, list[tuple[int, int]]], pre
     spark = grid.sparkSession
     rows = [(a, k, s, e) for a, own in bounds.items() for k, (s, e) in enumerate(own)]
     buckets = F.broadcast(spark.createDataFrame(rows, "attr string, b int, s int, e int"))
-    share = preds.join(buckets, "attr").withColumn("f", F.greatest(F.lit(0), F.least("hi", "e") - F.greatest("lo", "s") + 1) / (F.col("e") - F.col("s") + 1)).where("f > 0")
+    ends = F.broadcast(spark.createDataFrame([(a, own[-1][1]) for a, own in bounds.items()], "attr string, last int"))
+    asked = preds.select("qid").distinct().join(ends, F.lit(True)).join(preds.select("qid", "attr", "lo", "hi"), ["qid", "attr"], "left").select("qid", "attr", F.coalesce("lo", F.lit(0)).alias("lo"), F.coalesce("hi", "last").alias("hi"))
+    share = asked.join(buckets, "attr").withColumn("f", F.greatest(F.lit(0), F.least("hi", "e") - F.greatest("lo", "s") + 1) / (F.col("e") - F.col("s") + 1)).where("f > 0")
     out = preds.select("qid").distinct().join(grid, F.lit(True))  # bounded: a grid of a few KB
     for a in bounds:
         own = share.where(F.col("attr") == a).select("qid", F.col("b").alias(f"b_{a}"), F.col("f").alias(f"f_{a}"))

@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import time
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from .nets import Net, train
 from .query import Queries
+from .truth import true_counts
 
 
 def encode_queries(q: Queries, kind: str = "onehot") -> np.ndarray:
@@ -18,6 +21,7 @@ def encode_queries(q: Queries, kind: str = "onehot") -> np.ndarray:
 
     ``onehot``: a slot a value and one for "not asked". ``multihot``: a slot a
     covered value. ``bounds``: both ends scaled to [0, 1], and whether asked.
+    ``operators``: for each end a one-hot comparison operator and the scaled value.
     """
     parts, bound = [], q.bound
     for k, card in enumerate(q.cards):
@@ -26,6 +30,12 @@ def encode_queries(q: Queries, kind: str = "onehot") -> np.ndarray:
         if kind == "bounds":
             top = max(card - 1, 1)
             parts.append(np.concatenate([lo / top, hi / top, bound[:, [k]]], axis=1))
+        elif kind == "operators":
+            top, asked = max(card - 1, 1), bound[:, k]
+            point = (q.low[:, k] == q.high[:, k]) & asked
+            lower = [None if not b or lo_ == 0 and not p else "=" if p else ">=" for b, p, lo_ in zip(asked, point, q.low[:, k])]
+            upper = [None if not b or p or hi_ == card - 1 else "<=" for b, p, hi_ in zip(asked, point, q.high[:, k])]
+            parts += [operator_slots(lower), lo / top, operator_slots(upper), hi / top]
         elif kind == "multihot":
             parts.append(inside)
         else:
@@ -97,6 +107,17 @@ class Regressor:
         train(self.net, len(x), slope, lambda rows: x[rows], epochs, batch, rate, self.seed, dropout)
         return self
 
+    def refresh(self, q: Queries, old_rows: np.ndarray, delta: DataFrame, epochs: int = 20, dropout: float = 0.1, rate: float = 2e-4) -> tuple["Regressor", np.ndarray]:
+        """New tuples: answers of the training queries grow by their counts on ``delta`` alone, then training goes on. Returns the model and the new answers."""
+        more = {r["qid"]: r["true_rows"] for r in true_counts(delta, q).collect()}  # bounded: a training log
+        now = np.asarray(old_rows, float) + np.array([more[int(i)] for i in q.qid], float)
+        self.scaler.rows += int(delta.agg(F.coalesce(F.sum("mult"), F.lit(0))).first()[0])
+        return self.fit(q, now, epochs=epochs, dropout=dropout, rate=rate), now
+
+    def fine_tune(self, q: Queries, true_rows: np.ndarray, epochs: int = 20, dropout: float = 0.1, rate: float = 2e-4) -> "Regressor":
+        """New queries: training goes on with a smaller rate."""
+        return self.fit(q, true_rows, epochs=epochs, dropout=dropout, rate=rate)
+
     def selectivity(self, q: Queries) -> np.ndarray:
         z = self.net.forward(encode_queries(q, self.encoding))[0][:, 0]
         return self.scaler.inverse(1 / (1 + np.exp(-np.clip(z, -30, 30))))
@@ -156,6 +177,17 @@ class SupportVectorModel(LinearModel):
         return self
 
 
+def latency_ms(answer: Callable[[Queries], object], q: Queries, most: int = 200) -> tuple[float, float]:
+    """Mean and 95 % milliseconds of single queries asked one after another; ``most`` of them are timed."""
+    took = []
+    for k in range(min(most, len(q))):
+        one = q.take(np.array([k]))
+        began = time.perf_counter()
+        answer(one)
+        took.append(1e3 * (time.perf_counter() - began))
+    return (float(np.mean(took)), float(np.quantile(took, 0.95))) if took else (0.0, 0.0)
+
+
 def estimate(spark: SparkSession, model: object, q: Queries, tasks: int = 8) -> DataFrame:
     """(qid, est_rows); constant work a query, whatever the relation's size."""
     rows, attrs, cards = model.scaler.rows, q.attrs, q.cards

@@ -23,6 +23,35 @@ def _cards(spark: SparkSession, dic: Dictionary) -> DataFrame:
     return F.broadcast(spark.createDataFrame([(a, k, dic.cards[a]) for k, a in enumerate(dic.attrs)], "attr string, no int, card int"))
 
 
+def ladder(tuples: DataFrame, attrs: list[str], size: Column, seed: int, digits: int | None = None) -> tuple[DataFrame, DataFrame, int]:
+    """Tuples laid end to end in md5 order: (bucket, tuple's ``_start`` and ``_size``), (bucket, its start and stop), and the whole length.
+
+    A bucket is a prefix of the md5 text, long enough that one holds some thousands
+    of tuples; only the buckets' sums are ordered as a whole, so no task sees all tuples.
+    """
+    key = F.md5(F.concat_ws("|", F.lit(str(seed)), *(F.col(a).cast("string") for a in attrs)))
+    if digits is None:
+        digits = 1
+        while 16**digits * 4096 < tuples.count():
+            digits += 1
+    keyed = tuples.select(*attrs, size.cast("long").alias("_size"), key.alias("_key")).withColumn("bucket", F.substring("_key", 1, digits))
+    sums = keyed.groupBy("bucket").agg(F.sum("_size").alias("total"))
+    upto = Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, 0)  # one row a bucket
+    bounds = sums.withColumn("stop", F.sum("total").over(upto)).select("bucket", (F.col("stop") - F.col("total")).alias("base"), "stop").persist()
+    inside = Window.partitionBy("bucket").orderBy("_key").rowsBetween(Window.unboundedPreceding, 0)
+    placed = keyed.withColumn("up", F.sum("_size").over(inside)).join(bounds.select("bucket", "base"), "bucket")
+    whole = bounds.agg(F.max("stop")).first()[0] or 0
+    return placed.select("bucket", *attrs, (F.col("base") + F.col("up") - F.col("_size")).alias("_start"), "_size"), bounds, int(whole)
+
+
+def pick(draws: DataFrame, placed: DataFrame, bounds: DataFrame, whole: int, cells: int = 4096) -> DataFrame:
+    """Draws (``at``) with the tuple that each falls on, by equal keys alone: first the cell of the place, then the bucket."""
+    cell = lambda x: F.floor(x * F.lit(cells) / F.lit(max(1, whole)))
+    spread = bounds.where("stop > base").select("bucket", "base", "stop", F.explode(F.sequence(cell(F.col("base")), cell(F.col("stop") - 1))).alias("cell"))
+    routed = draws.withColumn("cell", cell(F.col("at"))).join(spread, "cell").where("at >= base and at < stop").drop("cell", "base", "stop")
+    return routed.join(placed, "bucket").where("at >= _start and at < _start + _size").drop("bucket", "_start", "_size")
+
+
 def single_predicate(dic: Dictionary) -> DataFrame:
     """Every (attribute, value) as a query."""
     order = Window.orderBy("attr", "code")  # at most one row a dictionary entry
@@ -50,10 +79,8 @@ def combo_workload(spark: SparkSession, dic: Dictionary, total: int = 10_000, se
     sets = spark.createDataFrame(attribute_sets(dic.attrs, total), "k int, attrs string, quota int")
     drawn = F.broadcast(sets).where("quota > 0").select("k", "attrs", "quota", F.explode(F.sequence(F.lit(1), F.col("quota") * tries)).alias("draw"))
     if values == "anchored":
-        n = tuples.count()
-        order = Window.orderBy(F.md5(F.concat_ws("|", F.lit(str(seed)), *(F.col(a).cast("string") for a in dic.attrs))))
-        ranked = tuples.select(*dic.attrs, (F.row_number().over(order) - 1).alias("rank"))
-        picked = drawn.withColumn("rank", F.floor(uniform(seed, F.col("attrs"), F.col("draw")) * n).cast("int")).join(ranked, "rank")
+        placed, bounds, n = ladder(tuples, list(dic.attrs), F.lit(1), seed)
+        picked = pick(drawn.withColumn("at", F.floor(uniform(seed, F.col("attrs"), F.col("draw")) * n).cast("long")), placed, bounds, n)
         cells = F.array(*(F.struct(F.lit(a).alias("attr"), F.col(a).alias("code")) for a in dic.attrs))
         long = picked.select("k", "attrs", "quota", "draw", F.explode(F.filter(cells, lambda x: F.array_contains(F.split("attrs", ","), x["attr"]))).alias("x")).select("k", "attrs", "quota", "draw", "x.attr", "x.code")
     else:
@@ -86,14 +113,10 @@ def random_training(spark: SparkSession, dic: Dictionary, tuples: DataFrame, bud
         singles = singles.orderBy(F.col("freq").desc(), "attr", "code").limit(budget)
     m, rest = len(dic.attrs), max(0, budget - n_single)
     first = singles.select(F.concat("attr", F.lit("="), F.col("code").cast("string")).alias("canon"), F.lit(0).alias("draw"))
-    # an exponential race orders tuples so that a draw's chance follows the multiplicity
-    key = F.concat_ws("|", *(F.col(a).cast("string") for a in dic.attrs))
-    cumulative = Window.orderBy(F.md5(F.concat_ws("|", F.lit(str(seed)), key))).rowsBetween(Window.unboundedPreceding, 0)
-    total = tuples.agg(F.sum("mult")).first()[0] or 0
-    ladder = tuples.select(*dic.attrs, F.sum("mult").over(cumulative).alias("up"), "mult")
+    placed, bounds, total = ladder(tuples, list(dic.attrs), F.col("mult"), seed)
     draws = spark.range(1, rest * 2 + 1).withColumnRenamed("id", "draw")
     draws = draws.withColumn("at", F.floor(uniform(seed, F.col("draw"), "tuple") * total).cast("long")).withColumn("size", (2 + F.floor(uniform(seed, F.col("draw"), "size") * (m - 1))).cast("int"))
-    hit = draws.join(ladder, (F.col("at") >= F.col("up") - F.col("mult")) & (F.col("at") < F.col("up")))
+    hit = pick(draws, placed, bounds, total)
     chosen = F.slice(F.array_sort(F.array(*(F.struct(uniform(seed, F.col("draw"), a).alias("u"), F.lit(a).alias("attr"), F.col(a).alias("code")) for a in dic.attrs))), 1, F.col("size"))
     more = hit.select("draw", F.concat_ws(",", F.sort_array(F.transform(chosen, lambda x: F.concat(x["attr"], F.lit("="), x["code"].cast("string"))))).alias("canon"))
     distinct = more.groupBy("canon").agg(F.min("draw").alias("draw")).orderBy("draw").limit(rest)
@@ -102,6 +125,16 @@ def random_training(spark: SparkSession, dic: Dictionary, tuples: DataFrame, bud
     return _from_canon(ids)
 
 
+def naive_training(spark: SparkSession, dic: Dictionary, budget: int = 10_000, seed: int = 42) -> DataFrame:
+    """(qid, attr, lo, hi): random attribute subsets with values drawn evenly from the domains, so most are empty; the control of ``random_training``."""
+    m = len(dic.attrs)
+    draws = spark.range(budget).withColumnRenamed("id", "qid").withColumn("k", (1 + F.floor(uniform(seed, F.col("qid"), "size") * m)).cast("int"))
+    each = draws.select("qid", "k", F.explode(F.array(*map(F.lit, dic.attrs))).alias("attr")).join(_cards(spark, dic), "attr")
+    place = Window.partitionBy("qid").orderBy(uniform(seed, F.col("qid"), F.col("attr"), "pick"), "attr")
+    code = F.floor(uniform(seed, F.col("qid"), F.col("attr"), "value") * F.col("card")).cast("int")
+    return each.withColumn("r", F.row_number().over(place)).where("r <= k").select("qid", "attr", code.alias("lo"), code.alias("hi"))
+
+
 def _from_canon(ids: DataFrame) -> DataFrame:
     parts = ids.select("qid", F.explode(F.split("canon", ",")).alias("x"))
     code = F.element_at(F.split("x", "="), -1).cast("int")

@@ -2,73 +2,27 @@
 
 from __future__ import annotations
 
-import time
-from collections.abc import Callable
-from dataclasses import dataclass
-from functools import reduce
-
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from selweave.functions.estimate import selectivity_of
-from selweave.functions.metrics import box_plot, log_q_error, q_error, relative_error, selectivity_bucket
+from selweave.functions.metrics import log_q_error, relative_error
 from selweave.operators import baselines as bl
-from selweave.operators import conditionals, dens, kernels, ranges, reg
+from selweave.operators import dens, kernels, ranges
 from selweave.operators import workload as wl
 from selweave.operators.query import Queries
-from selweave.operators.relation import Dictionary, binary_bits, compact, dependencies, encode_codes, encoding_width, entropies, fit_dictionary, mutual_information, one_hot
+from selweave.operators.relation import binary_bits, compact, dependencies, encoding_width, entropies, fit_dictionary, mutual_information, one_hot
 from selweave.operators.truth import true_counts, true_counts_grouped, true_counts_theta, tuple_weights
 from selweave.plans.advice import condition_order, join_advice
 from selweave.sources.views import VIEWS, load_view
 from selweave.streaming.increments import hourly_counts
 
-from . import sql
+from . import experiments, sql
+from .common import TOTAL, Query, Relation, box, combo, errors, grouped, relation, rounded, union
 
-Query = Callable[[SparkSession, str], DataFrame]
-TOTAL = 2_000  # queries of a combination workload
 RANGE_ATTRS = ["oyear", "syear", "price_band", "net_band"]
-RANGE_TOTAL = 120
-EPOCHS = 20  # of the networks in registered experiments; the library's default is 100
-
-
-@dataclass
-class Relation:
-    attrs: list[str]
-    dic: Dictionary
-    tuples: DataFrame
-
-
-def relation(spark: SparkSession, sf_dir: str, name: str) -> Relation:
-    attrs = list(VIEWS[name].attributes)
-    df = load_view(spark, sf_dir, name)
-    dic = fit_dictionary(df, attrs)
-    dic.frame = dic.frame.persist()
-    return Relation(attrs, dic, compact(encode_codes(df, dic), attrs).persist())
-
-
-def _combo(spark: SparkSession, r: Relation, total: int = TOTAL, seed: int = 42, values: str = "uniform") -> DataFrame:
-    return wl.combo_workload(spark, r.dic, total, seed, values, r.tuples).persist()
-
-
-def _rounded(df: DataFrame, *names: str, digits: int = 4) -> DataFrame:
-    """Rounded columns; lifted a little first, so that ties fall alike in any engine."""
-    return df.select(*((F.round(F.col(c) * F.lit(1.000000001), digits) + F.lit(0.0)).alias(c) if c in names else F.col(c) for c in df.columns))
-
-
-BOX = ("p05", "p25", "p50", "p75", "p95", "mean", "max")
-
-
-def _errors(truth: DataFrame, est: DataFrame) -> DataFrame:
-    return truth.join(est, "qid").withColumn("qerr", q_error(F.col("true_rows"), F.col("est_rows")))
-
-
-def _box(errors: DataFrame, *by: str) -> DataFrame:
-    return _rounded(box_plot(errors, list(by)), *BOX)
-
-
-def _union(frames: list[DataFrame]) -> DataFrame:
-    return reduce(DataFrame.unionByName, frames)
+RANGE_TOTAL = 1_000
 
 
 # --- views, dictionaries, encodings, information ---
@@ -107,12 +61,12 @@ def bits_query(kind: str) -> Query:
 
 def pair_entropies(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "shipments")
-    return _rounded(entropies(r.tuples, [(a, b) for k, a in enumerate(r.attrs) for b in r.attrs[k + 1 :]]), "entropy")
+    return rounded(entropies(r.tuples, [(a, b) for k, a in enumerate(r.attrs) for b in r.attrs[k + 1 :]]), "entropy")
 
 
 def pair_information(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "orderbook")
-    return _rounded(mutual_information(r.tuples, [(a, b) for k, a in enumerate(r.attrs) for b in r.attrs[k + 1 :]]), "mi")
+    return rounded(mutual_information(r.tuples, [(a, b) for k, a in enumerate(r.attrs) for b in r.attrs[k + 1 :]]), "mi")
 
 
 def found_dependencies(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -124,18 +78,18 @@ def found_dependencies(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def combo_query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _combo(spark, relation(spark, sf_dir, "shipments")).select("qid", F.col("k").cast("int").alias("k"), "attr", "lo")
+    return combo(spark, relation(spark, sf_dir, "shipments")).select("qid", F.col("k").cast("int").alias("k"), "attr", "lo")
 
 
 def truth_points(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "shipments")
-    w = _combo(spark, r)
+    w = combo(spark, r)
     return true_counts(r.tuples, Queries.of_frame(w, r.dic))
 
 
 def truth_grouped(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "shipments")
-    return true_counts_grouped(r.tuples, _combo(spark, r), r.attrs)
+    return true_counts_grouped(r.tuples, combo(spark, r), r.attrs)
 
 
 def _range_queries(spark: SparkSession, r: Relation) -> Queries:
@@ -159,16 +113,16 @@ def workload_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def log_attribute_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "shipments")
-    return _rounded(wl.attribute_weights(_combo(spark, r), r.dic), "weight", digits=6)
+    return rounded(wl.attribute_weights(combo(spark, r), r.dic), "weight", digits=6)
 
 
 def log_value_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "shipments")
-    return _rounded(wl.value_weights(_combo(spark, r), r.dic), "weight", digits=6)
+    return rounded(wl.value_weights(combo(spark, r), r.dic), "weight", digits=6)
 
 
 def log_predicate_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _rounded(wl.predicate_count_distribution(_combo(spark, relation(spark, sf_dir, "shipments"))), "share", digits=6)
+    return rounded(wl.predicate_count_distribution(combo(spark, relation(spark, sf_dir, "shipments"))), "share", digits=6)
 
 
 def training_queries(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -178,7 +132,7 @@ def training_queries(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def augmented_log(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "shipments")
-    return wl.augment(_combo(spark, r, 200), r.dic, 1_000)
+    return wl.augment(combo(spark, r, 200), r.dic, 1_000)
 
 
 def augmented_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -201,7 +155,7 @@ def _estimates(spark: SparkSession, r: Relation, w: DataFrame, which: str) -> Da
 def baseline(which: str) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         r = relation(spark, sf_dir, "shipments")
-        return _rounded(_estimates(spark, r, _combo(spark, r), which).select("qid", "est_rows"), "est_rows", digits=3)
+        return rounded(_estimates(spark, r, combo(spark, r), which).select("qid", "est_rows"), "est_rows", digits=3)
 
     return run
 
@@ -211,7 +165,7 @@ def grid(kind: str) -> Query:
         r = relation(spark, sf_dir, "shipments")
         own = ["lag_band", "oyear", "price_band"]
         w = wl.range_workload(spark, r.dic, own, 60)
-        return _rounded(bl.grid_estimate(*bl.grid_histogram(r.tuples, r.dic, own, 800, kind), w), "est_rows")
+        return rounded(bl.grid_estimate(*bl.grid_histogram(r.tuples, r.dic, own, 800, kind), w), "est_rows")
 
     return run
 
@@ -219,8 +173,8 @@ def grid(kind: str) -> Query:
 def multicolumn(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "shipments")
     pair = ("nation", "region")
-    w = _combo(spark, r).where(F.col("attrs") == ",".join(pair))
-    return _rounded(bl.multicolumn_estimate(r.tuples, r.dic, pair, w), "est_rows")
+    w = combo(spark, r).where(F.col("attrs") == ",".join(pair))
+    return rounded(bl.multicolumn_estimate(r.tuples, r.dic, pair, w), "est_rows")
 
 
 def haar(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -229,7 +183,7 @@ def haar(spark: SparkSession, sf_dir: str) -> DataFrame:
     own = ["oyear", "price_band"]
     w = wl.range_workload(spark, r.dic, own, 60)
     kept = bl.haar_top(bl.haar_coefficients(r.tuples, r.dic, own), own, 4096)
-    return _rounded(bl.haar_estimate(kept, r.dic, own, w), "est_rows", digits=2)
+    return rounded(bl.haar_estimate(kept, r.dic, own, w), "est_rows", digits=2)
 
 
 def haar_small(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -237,24 +191,7 @@ def haar_small(spark: SparkSession, sf_dir: str) -> DataFrame:
     own = ["oyear", "price_band"]
     w = wl.range_workload(spark, r.dic, own, 60)
     kept = bl.haar_top(bl.haar_coefficients(r.tuples, r.dic, own), own, 12)
-    return _rounded(bl.haar_estimate(kept, r.dic, own, w), "est_rows", digits=2)
-
-
-def _grouped(r: Relation, found: DataFrame, w: DataFrame, by: tuple[str, ...]) -> DataFrame:
-    """Rows (qid, true_rows) with the columns that results are grouped by: k, bucket, decade, quartile."""
-    found = found.join(w.select("qid", F.col("k").cast("int").alias("k"), "attrs").distinct(), "qid")
-    if "bucket" in by:
-        found = found.withColumn("bucket", selectivity_bucket(F.col("true_rows") / F.lit(float(r.dic.rows))))
-    if "decade" in by:
-        size = F.lit(0.0)
-        for a in r.attrs:
-            size = size + F.when(F.array_contains(F.split("attrs", ","), a), F.lit(float(np.log10(r.dic.cards[a])))).otherwise(0.0)
-        found = found.withColumn("decade", F.floor(size + 1e-9).cast("int"))
-    if "quartile" in by:
-        sets = [tuple(s.split(",")) for _, s, quota in wl.attribute_sets(r.attrs, TOTAL) if quota]
-        h = entropies(r.tuples, sets).select("attrs", F.round("entropy", 6).alias("h"))
-        found = found.join(F.broadcast(h.select("attrs", F.ntile(4).over(Window.orderBy("h", "attrs")).alias("quartile"))), "attrs")  # one row an attribute set
-    return found
+    return rounded(bl.haar_estimate(kept, r.dic, own, w), "est_rows", digits=2)
 
 
 def error_boxes(which: str, by: str) -> Query:
@@ -262,78 +199,23 @@ def error_boxes(which: str, by: str) -> Query:
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         r = relation(spark, sf_dir, "shipments")
-        w = _combo(spark, r)
+        w = combo(spark, r)
         truth = true_counts(r.tuples, Queries.of_frame(w, r.dic))
-        errors = _grouped(r, _errors(truth, _estimates(spark, r, w, which)), w, (by,))
-        return _box(errors, by)
+        errors = grouped(r, errors(truth, _estimates(spark, r, w, which)), w, (by,))
+        return box(errors, by)
 
     return run
 
 
 def measures(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "shipments")
-    w = _combo(spark, r)
-    e = _errors(true_counts(r.tuples, Queries.of_frame(w, r.dic)), bl.independence(r.dic, w))
+    w = combo(spark, r)
+    e = errors(true_counts(r.tuples, Queries.of_frame(w, r.dic)), bl.independence(r.dic, w))
     e = e.select("qid", "qerr", log_q_error(F.col("true_rows"), F.col("est_rows")).alias("log_qerr"), relative_error(F.col("true_rows"), F.col("est_rows")).alias("rel"))
-    return _rounded(e, "qerr", "log_qerr", "rel")
-
-
-# --- the unsupervised estimator ---
-
+    return rounded(e, "qerr", "log_qerr", "rel")
 
-def _nets(r: Relation, configs: list[dict]) -> list[dens.MaskedNet]:
-    cards = [r.dic.cards[a] for a in r.attrs]
-    return [dens.MaskedNet(cards, dens.attribute_order(r.attrs, seed=c.pop("order_seed", 0), before=c.pop("before", None)), **c) for c in map(dict, configs)]
 
-
-def _sample(w: DataFrame, most: int = 240) -> DataFrame:
-    """A smaller test log for estimators that sample: queries picked by hash, all predicate counts alike."""
-    ids = w.select("qid").distinct().orderBy(F.md5(F.col("qid").cast("string"))).limit(most)
-    return w.join(ids, "qid", "left_semi")
-
-
-def _dens_boxes(spark: SparkSession, r: Relation, w: DataFrame, models: dict[str, list], by: list[str], method: str = "auto", samples: int = 200) -> DataFrame:
-    q = Queries.of_frame(w, r.dic)
-    truth = _grouped(r, true_counts(r.tuples, q), w, tuple(by)).persist()
-    parts = [_errors(truth, ranges.estimate(spark, m, q, r.dic.rows, method, samples)).withColumn("config", F.lit(c)) for c, m in models.items()]
-    return _box(_union(parts), "config", *by)
-
-
-def sweep(configs: dict[str, dict], view: str = "shipments", by: tuple[str, ...] = (), pick: Callable[[DataFrame], DataFrame] = lambda w: w) -> Query:
-    """Networks that differ in one setting, trained side by side (one task each) and judged on the same log."""
-
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        r = relation(spark, sf_dir, view)
-        w = _sample(pick(_combo(spark, r, values="anchored"))).persist()
-        models = dens.fit(r.tuples, r.dic, start=_nets(r, list(configs.values())), epochs=EPOCHS)
-        return _dens_boxes(spark, r, w, {c: [m] for c, m in zip(configs, models)}, list(by))
-
-    return run
-
-
-def order_ensembles(spark: SparkSession, sf_dir: str) -> DataFrame:
-    r = relation(spark, sf_dir, "shipments")
-    w = _sample(_combo(spark, r, values="anchored"), 120).persist()
-    models = dens.fit(r.tuples, r.dic, orders=5, epochs=EPOCHS)
-    return _dens_boxes(spark, r, w, {f"{k} orders": models[:k] for k in (1, 2, 3, 5)}, [])
-
-
-def dens_by(*by: str) -> Query:
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        r = relation(spark, sf_dir, "shipments")
-        w = _sample(_combo(spark, r, values="anchored"), 400).persist()
-        return _dens_boxes(spark, r, w, {"dens": dens.fit(r.tuples, r.dic, epochs=EPOCHS)}, list(by))
-
-    return run
-
-
-def range_methods(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All range methods on one trained network; truth is the relation."""
-    r = relation(spark, sf_dir, "shipments")
-    w = wl.range_workload(spark, r.dic, RANGE_ATTRS, 60).persist()
-    models, q = dens.fit(r.tuples, r.dic, epochs=EPOCHS, order="natural"), Queries.of_frame(w, r.dic)
-    truth = true_counts(r.tuples, q).persist()
-    return _box(_union([_errors(truth, ranges.estimate(spark, models, q, r.dic.rows, m, 500)).withColumn("method", F.lit(m)) for m in ("uniform", "adaptive", "progressive")]), "method")
+# --- exact joint tables, likelihood, planner ---
 
 
 def _joint(r: Relation) -> dens.Joint:
@@ -347,131 +229,21 @@ def joint_ranges(method: str) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         r = relation(spark, sf_dir, "dialog")
         q = Queries.of_frame(wl.range_workload(spark, r.dic, r.attrs, 40), r.dic)
-        return _rounded(ranges.estimate(spark, [_joint(r)], q, r.dic.rows, method, 500), "est_rows")
+        return rounded(ranges.estimate(spark, [_joint(r)], q, r.dic.rows, method, 500), "est_rows")
 
     return run
 
 
 def likelihood(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "dialog")
-    models = [*dens.fit(r.tuples, r.dic, epochs=100), dens.fit_averaged(r.tuples, r.dic, _nets(r, [{}])[0])]
-    return _rounded(dens.nll(models, r.tuples, r.dic), "bits")
-
-
-def injected_workload(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """With and without loss weights from a log; judged on held-out queries of the same log."""
-    r = relation(spark, sf_dir, "shipments")
-    w = _combo(spark, r, values="anchored").where(F.col("k") >= 3)
-    log, held = w.where(F.col("qid") % 5 != 0), _sample(w.where(F.col("qid") % 5 == 0), 120).persist()
-    weighted = tuple_weights(r.tuples, Queries.of_frame(log, r.dic)).withColumn("lw", F.col("mult") * (1 + F.col("w"))).persist()
-    plain = dens.fit(weighted, r.dic, epochs=EPOCHS)
-    tuned = dens.fit(weighted, r.dic, epochs=EPOCHS, weight="lw")
-    return _dens_boxes(spark, r, held, {"plain": plain, "weighted": tuned}, [])
-
-
-def increments(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Likelihood (bits a tuple) on old and new rows: refit, forgetful fine-tuning, fine-tuning with dropout."""
-    attrs = ["event_type", "hr", "daypart", "dom", "dow", "vband"]
-    df = load_view(spark, sf_dir, "activity")
-    dic = fit_dictionary(df, attrs)
-    dic.frame = dic.frame.persist()
-    cut = df.agg(F.percentile("event_id", 0.8)).first()[0]
-    old, new = (compact(encode_codes(df.where(c), dic), attrs).persist() for c in (F.col("event_id") <= cut, F.col("event_id") > cut))
-    first = dens.fit(old, dic, epochs=EPOCHS)
-    both = compact(old.unionByName(new), attrs)
-    models = {"before": first, "refit": dens.fit(both, dic, epochs=EPOCHS), "naive": dens.fine_tune(first, new, dic, dropout=0.0), "dropout": dens.fine_tune(first, new, dic)}
-    flat = [m[0] for m in models.values()]
-    names = F.array(*map(F.lit, models))
-    parts = [dens.nll(flat, part, dic).select(names[F.col("model")].alias("config"), F.lit(label).alias("part"), "bits") for label, part in (("old", old), ("new", new))]
-    return _rounded(_union(parts), "bits")
-
-
-# --- the supervised estimator ---
-
-
-def _labelled(r: Relation, preds: DataFrame) -> tuple[Queries, np.ndarray]:
-    q = Queries.of_frame(preds, r.dic)
-    got = {x["qid"]: x["true_rows"] for x in true_counts(r.tuples, q).collect()}  # bounded: a training log
-    return q, np.array([got[int(i)] for i in q.qid], float)
-
-
-def _judge(spark: SparkSession, r: Relation, models: dict[str, object], *by: str) -> DataFrame:
-    w = _combo(spark, r, 1_000, seed=9, values="anchored")
-    q = Queries.of_frame(w, r.dic)
-    truth = _grouped(r, true_counts(r.tuples, q), w, by).persist()
-    return _box(_union([_errors(truth, reg.estimate(spark, m, q)).withColumn("config", F.lit(c)) for c, m in models.items()]), "config", *by)
-
-
-def regressors(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The q-error network against the squared-error network and the linear and support-vector baselines."""
-    r = relation(spark, sf_dir, "shipments")
-    q, y = _labelled(r, wl.random_training(spark, r.dic, r.tuples, 3_000))
-    n = r.dic.rows
-    models = {"qerror": reg.Regressor(n).fit(q, y, epochs=40), "mse": reg.Regressor(n, loss="mse").fit(q, y, epochs=40), "sum": reg.Regressor(n, ratio="sum").fit(q, y, epochs=40), "linear": reg.LinearModel(n).fit(q, y), "svr": reg.SupportVectorModel(n).fit(q, y), "svr_rbf": reg.SupportVectorModel(n, "rbf").fit(q, y)}
-    return _judge(spark, r, models)
-
-
-def reg_by(by: str) -> Query:
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        r = relation(spark, sf_dir, "shipments")
-        q, y = _labelled(r, wl.random_training(spark, r.dic, r.tuples, 5_000))
-        return _judge(spark, r, {"reg": reg.Regressor(r.dic.rows).fit(q, y, epochs=40)}, by)
-
-    return run
-
-
-def training_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Regressors of fewer and more training queries and epochs."""
-    r = relation(spark, sf_dir, "shipments")
-    models = {}
-    for budget in (1_250, 2_500, 5_000):
-        q, y = _labelled(r, wl.random_training(spark, r.dic, r.tuples, budget))
-        models |= {f"{budget} queries, {e} epochs": reg.Regressor(r.dic.rows).fit(q, y, epochs=e) for e in (10, 40)}
-    return _judge(spark, r, models)
-
-
-def _widest(size: Callable[[int], int], budget: int) -> int:
-    """The most hidden units a layer whose network fits the budget."""
-    return max((h for h in range(4, 260, 4) if size(h) <= budget), default=4)
-
-
-def equal_space(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Networks, samples and kernel densities cut to the same bytes."""
-    r = relation(spark, sf_dir, "shipments")
-    w = _sample(_combo(spark, r, values="anchored")).persist()
-    q = Queries.of_frame(w, r.dic)
-    truth = true_counts(r.tuples, q).persist()
-    labelled = _labelled(r, wl.random_training(spark, r.dic, r.tuples, 2_500))
-    cards, m = [r.dic.cards[a] for a in r.attrs], len(r.attrs)
-    order = dens.attribute_order(r.attrs)
-    inputs = reg.encode_queries(labelled[0]).shape[1]
-    budgets = (25_000, 50_000, 200_000)
-    nets = [dens.MaskedNet(cards, order, (h, h)) for h in (_widest(lambda h: dens.MaskedNet(cards, order, (h, h)).size_bytes(), b) for b in budgets)]
-    parts = []
-    for b, model in zip(budgets, dens.fit(r.tuples, r.dic, start=nets, epochs=EPOCHS)):
-        h = _widest(lambda h: 4 * (inputs * h + h * h + 3 * h + 1), b)
-        rows = b // (4 * m + 8)
-        found = {
-            "dens": ranges.estimate(spark, [model], q, r.dic.rows, samples=200),
-            "reg": reg.estimate(spark, reg.Regressor(r.dic.rows, hidden=(h, h)).fit(*labelled, epochs=40), q),
-            "sample": bl.sample_estimate(bl.md5_sample(r.tuples, r.attrs, min(1.0, rows / r.dic.rows)), q, r.dic.rows),
-            "kernels": kernels.estimate(spark, kernels.KernelDensity.fit(r.tuples, r.dic, rows), q, r.dic.rows),
-        }
-        parts += [_errors(truth, e.select("qid", "est_rows")).withColumn("estimator", F.lit(n)).withColumn("budget", F.lit(b)) for n, e in found.items()]
-    return _box(_union(parts), "estimator", "budget")
-
-
-def single_networks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """A network for every conditional against one masked network of all."""
-    r = relation(spark, sf_dir, "shipments")
-    w = _sample(_combo(spark, r, values="anchored"), 120).persist()
-    return _dens_boxes(spark, r, w, {"per attribute": [conditionals.fit(r.tuples, r.dic, epochs=EPOCHS)], "masked": dens.fit(r.tuples, r.dic, epochs=EPOCHS)}, [])
+    models = [*dens.fit(r.tuples, r.dic, epochs=100), dens.fit_averaged(r.tuples, r.dic, dens.MaskedNet([r.dic.cards[a] for a in r.attrs], dens.attribute_order(r.attrs)))]
+    return rounded(dens.nll(models, r.tuples, r.dic), "bits")
 
 
 def kernel_density(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "shipments")
-    q = Queries.of_frame(_combo(spark, r), r.dic)
-    return _rounded(kernels.estimate(spark, kernels.KernelDensity.fit(r.tuples, r.dic), q, r.dic.rows), "est_rows", digits=3)
+    q = Queries.of_frame(combo(spark, r), r.dic)
+    return rounded(kernels.estimate(spark, kernels.KernelDensity.fit(r.tuples, r.dic), q, r.dic.rows), "est_rows", digits=3)
 
 
 #: Conditions over the dialog relation, asked through the SQL function.
@@ -481,69 +253,20 @@ WHERES = ["role = 'user'", "turn BETWEEN 1 AND 3 AND role IN ('user', 'assistant
 def where_function(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "dialog")
     asked = spark.createDataFrame([(k, t) for k, t in enumerate(WHERES)], "id int, cond string")
-    return _rounded(asked.select("id", selectivity_of([_joint(r)], r.dic, "enumerate")("cond").alias("sel")), "sel", digits=6)
+    return rounded(asked.select("id", selectivity_of([_joint(r)], r.dic, "enumerate")("cond").alias("sel")), "sel", digits=6)
 
 
 def planner_joins(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "shipments")
-    return join_advice(bl.independence(r.dic, _combo(spark, r)), 100, 100_000, 20_000)
+    return join_advice(bl.independence(r.dic, combo(spark, r)), 100, 100_000, 20_000)
 
 
 def planner_conditions(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = relation(spark, sf_dir, "shipments")
-    return condition_order(_combo(spark, r), r.dic)
-
-
-def reg_augmentation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """A log alone, generated queries alone, and the log augmented with weighted new ones."""
-    r = relation(spark, sf_dir, "shipments")
-    log = _combo(spark, r, 400, values="anchored").select("qid", "attr", "lo", "hi").persist()
-    more = wl.augment(log, r.dic, 2_000).persist()
-    weights = {x["qid"]: x["weight"] for x in wl.query_weights(more).collect()}
-    q, y = _labelled(r, more)
-    models = {"log": reg.Regressor(r.dic.rows).fit(*_labelled(r, log), epochs=40), "random": reg.Regressor(r.dic.rows).fit(*_labelled(r, wl.random_training(spark, r.dic, r.tuples, 2_000)), epochs=40), "augmented": reg.Regressor(r.dic.rows).fit(q, y, np.array([weights[int(i)] for i in q.qid]), epochs=40)}
-    return _judge(spark, r, models)
-
-
-def comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every estimator on one log, with bytes and training seconds."""
-    r = relation(spark, sf_dir, "shipments")
-    w = _sample(_combo(spark, r, values="anchored"), 300).persist()
-    q = Queries.of_frame(w, r.dic)
-    truth = true_counts(r.tuples, q).persist()
-    parts = []
-
-    def add(name: str, make: Callable[[], tuple[DataFrame, int]]) -> None:
-        t = time.perf_counter()
-        est, size = make()
-        parts.append(_errors(truth, est.select("qid", "est_rows")).withColumn("estimator", F.lit(name)).withColumn("bytes", F.lit(size).cast("long")).withColumn("fit_s", F.lit(round(time.perf_counter() - t, 2))))
-
-    def net(structure: str) -> tuple[DataFrame, int]:
-        found = bl.BayesNet.fit(r.tuples, r.dic, structure)
-        return bl.q_frame(spark, [(int(i), float(x)) for i, x in zip(q.qid, found.estimate(q))], "est_rows"), found.size_bytes()
-
-    def masked() -> tuple[DataFrame, int]:
-        models = dens.fit(r.tuples, r.dic, epochs=EPOCHS)
-        return ranges.estimate(spark, models, q, r.dic.rows, samples=200), sum(m.size_bytes() for m in models)
-
-    def supervised() -> tuple[DataFrame, int]:
-        model = reg.Regressor(r.dic.rows).fit(*_labelled(r, wl.random_training(spark, r.dic, r.tuples, 3_000)), epochs=40)
-        return reg.estimate(spark, model, q), model.size_bytes()
-
-    add("independence", lambda: (bl.independence(r.dic, w), 8 * r.dic.independent_size()))
-    add("sample", lambda: (bl.sample_estimate(bl.md5_sample(r.tuples, r.attrs), q, r.dic.rows), int(0.01 * r.dic.rows) * 8 * len(r.attrs)))
-    add("bayes_tree", lambda: net("tree"))
-    add("bayes_greedy", lambda: net("greedy"))
-    add("dens", masked)
-    add("reg", supervised)
-    return _box(_union(parts), "estimator", "bytes", "fit_s")
+    return condition_order(combo(spark, r), r.dic)
 
 
 def queries() -> dict[str, Query]:
-    width = {f"{h} neurons": {"hidden": (h, h)} for h in (25, 50, 75, 100)}
-    depth = {f"{d} layers": {"hidden": (100,) * d} for d in (1, 2, 3, 4)}
-    encodings = {e: {"encoding": e, "leak": "renormalise"} for e in ("binary", "onehot")}
-    known = {"free": {"order_seed": 3}, "constrained": {"order_seed": 3, "before": [("nation", "region")]}}
     found: dict[str, Query] = {f"view_{v}": view_query(v) for v in VIEWS}
     found |= {f"dictionary_{v}": dictionary_query(v) for v in ("shipments", "partsales", "corpus", "activity")}
     found |= {
@@ -553,12 +276,10 @@ def queries() -> dict[str, Query]:
         "b2_independence": baseline("independence"), "b3_sample": baseline("sample"), "b3a_sample_constant": baseline("sample_constant"), "b4_grid_width": grid("width"), "b4_grid_depth": grid("depth"), "b5_multicolumn": multicolumn, "b6_haar_exact": haar, "b6_haar_budget": haar_small, "b7_bayes_tree": baseline("bayes_tree"), "b7_bayes_greedy": baseline("bayes_greedy"),
         "w4_independence_by_count": error_boxes("independence", "k"), "w5_independence_by_selectivity": error_boxes("independence", "bucket"), "w6_independence_by_joint_size": error_boxes("independence", "decade"), "w25_sample_by_selectivity": error_boxes("sample", "bucket"),
         "u12_enumerate_joint": joint_ranges("enumerate"), "u13_uniform_joint": joint_ranges("uniform"), "u14_adaptive_joint": joint_ranges("adaptive"), "u15_progressive_joint": joint_ranges("progressive"), "d15_likelihood": likelihood,
-        "w2_comparison": comparison, "w4_dens_by_count": dens_by("k"), "w5_dens_by_selectivity": dens_by("bucket"), "w6_dens_by_joint_size": dens_by("decade"), "w7_dens_by_entropy": dens_by("quartile"), "w7_independence_by_entropy": error_boxes("independence", "quartile"), "u6a_single_networks": single_networks, "b10_kernel_density": kernel_density, "where_function": where_function, "planner_joins": planner_joins, "planner_conditions": planner_conditions,
-        "w8_width": sweep(width), "w9_depth": sweep(depth), "w10_encoding": sweep(encodings), "w11_orders": order_ensembles,
-        "w12_domain_knowledge": sweep(known, pick=lambda w: wl.dependency_workload(w, ("nation", "region"))), "w13_reg_by_count": reg_by("k"), "w14_reg_by_selectivity": reg_by("bucket"), "w15_reg_by_joint_size": reg_by("decade"), "w20_training_grid": training_grid, "w16_losses": regressors, "w17_workload_weights": injected_workload, "w18_augmentation": reg_augmentation, "w19_range_methods": range_methods, "w21_increments": increments,
+        "w7_independence_by_entropy": error_boxes("independence", "quartile"), "b10_kernel_density": kernel_density, "where_function": where_function, "planner_joins": planner_joins, "planner_conditions": planner_conditions,
         "stream_hourly_counts": hourly_counts,
     }
-    return found
+    return found | experiments.queries()
 
 
 def oracle_sql() -> dict[str, str]:
@@ -614,6 +335,32 @@ def oracle_sql() -> dict[str, str]:
     out["u12_enumerate_joint"] = f"{small} SELECT qid, CAST(true_rows AS DOUBLE) AS est_rows FROM truth"
     out["b6_haar_exact"] = f"{ships}, {sql.ranged('shipments', ['oyear', 'price_band'], 60)} SELECT qid, CAST(true_rows AS DOUBLE) AS est_rows FROM truth"
     out["w7_independence_by_entropy"] = f"{independent}, {sql.ERRORS}, h AS (SELECT attrs, round(log2(sum(n)) - sum(n * log2(n)) / sum(n), 6) AS h FROM cube WHERE attrs IN (SELECT attrs FROM ids) GROUP BY attrs), z AS (SELECT attrs, ntile(4) OVER (ORDER BY h, attrs) AS quartile FROM h), e2 AS (SELECT * FROM errors JOIN z USING (attrs)) {sql.box('quartile', 'e2')}"
+    out["s11_training_queries"] = f"{ships}, {sql.training('shipments', 5_000)}"
+    logged = f"{ships}, {sql.combo('shipments', 200)}, {sql.augmented('shipments', 1_000)}"
+    out["s12_augmented_log"] = f"{logged} SELECT qid, attr, lo, hi, in_workload FROM every"
+    out["s13_query_weights"] = f"{logged}, q AS (SELECT DISTINCT qid, in_workload FROM every) SELECT qid, in_workload, CASE WHEN in_workload THEN 1.0 ELSE (SELECT count(*) FILTER (WHERE in_workload) / count(*) FROM q) END AS weight FROM q"
+    out["s11a_naive_queries"] = f"{ships}, {sql.naive(5_000, len(attrs))}"
+    gridded = ["lag_band", "oyear", "price_band"]
+    for kind in ("width", "depth"):
+        out[f"b4_grid_{kind}"] = f"{ships}, {sql.ranged('shipments', gridded, 60)}, {sql.grid(gridded, 800, kind)} SELECT qid, {sql.rnd('est_rows', 4)} AS est_rows FROM est"
+    out["b5_multicolumn"] = (
+        f"{combo}, n AS (SELECT sum(mult) AS n FROM t), g AS (SELECT nation, region, sum(mult) AS freq FROM t GROUP BY ALL), top AS (SELECT *, row_number() OVER (ORDER BY freq DESC, nation, region) AS r FROM g), "
+        "degree AS (SELECT sum(CASE WHEN k = 1 THEN m ELSE 0 END) / sum(m) AS d FROM (SELECT nation, count(DISTINCT region) AS k, sum(mult) AS m FROM t GROUP BY nation)), "
+        "wide AS (SELECT qid, max(CASE WHEN attr = 'nation' THEN lo END) AS va, max(CASE WHEN attr = 'region' THEN lo END) AS vb FROM w WHERE attrs = 'nation,region' GROUP BY qid) "
+        f"SELECT qid, {sql.rnd('coalesce(top.freq, da.freq * (d + (1 - d) * db.freq / n), 0)', 4)} AS est_rows FROM wide LEFT JOIN top ON nation = va AND region = vb AND r <= 50 LEFT JOIN d da ON da.attr = 'nation' AND da.code = va LEFT JOIN d db ON db.attr = 'region' AND db.code = vb, degree, n"
+    )
+    out["d2a_empty_truth"] = f"{combo} SELECT k, count(*) AS n, CAST(count(*) FILTER (WHERE true_rows = 0) AS BIGINT) AS empty_true FROM truth GROUP BY k"
+    out["gates"] = " UNION ALL ".join(f"SELECT '{g}' AS gate, true AS holds" for g in experiments.GATES)
+    out["w23_wide_range"] = f"WITH {sql.view('partsales')}, {sql.dictionary('partsales')} SELECT CAST(10000 AS BIGINT) AS points, count(*) AS est_rows FROM v JOIN d a ON a.attr = 'partkey' AND a.value = CAST(v.partkey AS VARCHAR) JOIN d b ON b.attr = 'suppkey' AND b.value = CAST(v.suppkey AS VARCHAR) WHERE a.code < 100 AND b.code < 100"
+    out["w24_encodings"] = "SELECT * FROM (VALUES (0, '1000', '00'), (1, '0100', '01'), (2, '0010', '10'), (3, '0001', '11')) x(code, one_hot, bits)"
+    out["w24_scaling"] = "SELECT CAST(s AS DOUBLE) AS selectivity, round(-log10(s) * 1.000000001, 4) AS raw, round((-log10(s) - 1) / (-log10(0.002) - 1) * 1.000000001, 4) AS scaled FROM (VALUES (0.1), (0.01), (0.002)) x(s)"
+    out["w24_weights"] = "SELECT attr, code, round(w * 1.000000001, 6) AS weight FROM (VALUES ('a', -1, 2 / 3), ('b', -1, 1 / 3), ('a', 0, 100 / 101), ('a', 1, 1 / 101), ('b', 0, 0.5), ('b', 1, 0.5)) x(attr, code, w)"
+    out["s3_discretised"] = (
+        "WITH p AS (SELECT l_extendedprice AS x FROM lineitem), m AS (SELECT min(x) AS low, max(x) AS high, quantile_cont(x, [0.125, 0.25, 0.375, 0.5, 0.625, 0.75, 0.875]) AS q FROM p) "
+        "SELECT 'width' AS kind, CAST(least(floor((x - low) / ((high - low) / 8)), 7) AS INT) AS bin, count(*) AS n FROM p, m GROUP BY ALL UNION ALL SELECT 'quantile', CAST(len([c FOR c IN q IF x > c]) AS INT), count(*) FROM p, m GROUP BY ALL"
+    )
+    out["s4_scaled_bounds"] = f"{ships}, {sql.ranged('shipments', ['oyear', 'price_band'], 200)} SELECT q.qid, c.attr, round(coalesce(lo, 0) / greatest(card - 1, 1) * 1.000000001, 4) AS low, round(coalesce(hi, card - 1) / greatest(card - 1, 1) * 1.000000001, 4) AS high, CASE WHEN coalesce(lo, 0) > 0 OR coalesce(hi, card - 1) < card - 1 THEN 1 ELSE 0 END AS asked FROM (SELECT DISTINCT qid FROM w) q CROSS JOIN c LEFT JOIN w ON w.qid = q.qid AND w.attr = c.attr"
+    out["s5_operators"] = "SELECT * FROM (VALUES ('=', '10000'), ('<', '01000'), ('<=', '00100'), ('>', '00010'), ('>=', '00001'), ('none', '00000')) x(operator, slots)"
     out["where_function"] = f"WITH {sql.view('dialog')} " + " UNION ALL ".join(f"SELECT {k} AS id, round(count(*) FILTER (WHERE {t}) / count(*) * 1.000000001, 6) AS sel FROM v" for k, t in enumerate(WHERES))
     out["planner_joins"] = f"{independent} SELECT qid, CASE WHEN est_rows * 100 <= 100000 THEN 'broadcast' ELSE 'shuffle' END AS strategy, CAST(greatest(1, ceil(est_rows * 100 / 20000.0)) AS INT) AS partitions FROM est"
     out["planner_conditions"] = f"{combo} SELECT qid, w.attr, CAST(row_number() OVER (PARTITION BY qid ORDER BY freq, w.attr) AS INT) AS place FROM w JOIN d ON d.attr = w.attr AND d.code = w.lo"
