@@ -6,6 +6,7 @@ of documents is tokenised by a handful of numpy passes and not word by word.
 
 from __future__ import annotations
 
+import gc
 import re
 import tempfile
 from collections.abc import Iterable, Iterator
@@ -46,8 +47,15 @@ def shared_folder(spark: SparkSession) -> str:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Materialise in the shared folder, which ends the lineage."""
+    """Materialise in the shared folder, which ends the lineage.
+
+    First the driver's garbage goes: Spark's cleaner deletes shuffle files and
+    checkpoints once nothing on the driver refers to them, and what earlier cuts
+    were made from is no longer needed.
+    """
     shared_folder(df.sparkSession)
+    gc.collect()
+    df.sparkSession.sparkContext._jvm.System.gc()
     return df.checkpoint(eager=True)
 
 
