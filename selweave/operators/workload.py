@@ -115,9 +115,9 @@ def random_training(spark: SparkSession, dic: Dictionary, tuples: DataFrame, bud
     first = singles.select(F.concat("attr", F.lit("="), F.col("code").cast("string")).alias("canon"), F.lit(0).alias("draw"))
     placed, bounds, total = ladder(tuples, list(dic.attrs), F.col("mult"), seed)
     draws = spark.range(1, rest * 2 + 1).withColumnRenamed("id", "draw")
-    draws = draws.withColumn("at", F.floor(uniform(seed, F.col("draw"), "tuple") * total).cast("long")).withColumn("size", (2 + F.floor(uniform(seed, F.col("draw"), "size") * (m - 1))).cast("int"))
+    draws = draws.withColumn("at", F.floor(uniform(seed, F.col("draw"), "tuple") * total).cast("long")).withColumn("_take", (2 + F.floor(uniform(seed, F.col("draw"), "size") * (m - 1))).cast("int"))
     hit = pick(draws, placed, bounds, total)
-    chosen = F.slice(F.array_sort(F.array(*(F.struct(uniform(seed, F.col("draw"), a).alias("u"), F.lit(a).alias("attr"), F.col(a).alias("code")) for a in dic.attrs))), 1, F.col("size"))
+    chosen = F.slice(F.array_sort(F.array(*(F.struct(uniform(seed, F.col("draw"), a).alias("u"), F.lit(a).alias("attr"), F.col(a).alias("code")) for a in dic.attrs))), 1, F.col("_take"))
     more = hit.select("draw", F.concat_ws(",", F.sort_array(F.transform(chosen, lambda x: F.concat(x["attr"], F.lit("="), x["code"].cast("string"))))).alias("canon"))
     distinct = more.groupBy("canon").agg(F.min("draw").alias("draw")).orderBy("draw").limit(rest)
     every = first.unionByName(distinct.select("canon", F.col("draw").cast("int").alias("draw")))
