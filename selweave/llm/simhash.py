@@ -19,8 +19,13 @@ Stages that drop near-duplicates take another rule than the fingerprints' radius
 texts link if the Jaccard similarity of their shingle sets reaches a bound
 (``similar_classes``). Candidates come from an exact prefix filter (of a set's
 shingles in one order for all texts, those that every similar set must share one
-of) and an upper bound of what two sets share; every link is checked on the whole
-sets. Shingles are told apart by 40 bits of hash within these sets: a text of 1e5
+of). Texts of a prefix shingle are compared inside tasks by parity sketches: bit k
+says whether an odd number of a set's shingles fall in group k, so the bits in
+which two sketches differ are never more than the shingles that only one of the
+sets has, and no similar pair is missed. The sketches' words stand vertically and
+a block is abandoned once all its distances exceed their bounds. Only pairs that
+pass leave the task; sketches as wide as long texts need sift them once more, and
+every link is checked on the whole sets. Shingles are told apart by 40 bits of hash within these sets: a text of 1e5
 shingles has two alike with odds of 0.5 %, which moves a similarity by 1e-5.
 
 Edge cases: a null text is empty, an empty one has fingerprint 0, which links
@@ -38,10 +43,10 @@ from math import comb
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import IS_SPACE, LOWER, cut, edges, first_of_each, mix, prefix_hashes, slices, small_batches, span_hashes, text_buffer
+from .common import IS_SPACE, LOWER, cut, edges, first_of_each, mix, prefix_hashes, skew_join, slices, small_batches, span_hashes, text_buffer
 
 RADIUS = 4
 SHINGLE = 4
@@ -51,8 +56,11 @@ TILE = 4096
 LOAD = 64
 #: Shingles in the prefixes of more texts than this (or than a thousandth of all) come last in the order.
 COMMON = 100
-#: Groups of a set's shingles whose sizes bound what two sets share.
-GROUPS = 256
+#: Bits of a parity sketch, and words it fills.
+GROUPS = 1024
+WORDS = GROUPS // 64
+#: Links with one text that one task checks.
+STAR = 256
 
 
 def fingerprint(text: bytes) -> int:
@@ -352,38 +360,162 @@ def _prefixes(own: DataFrame, similarity: float, common: np.ndarray) -> DataFram
     return own.select("t", "s").mapInArrow(run, "h long, t long, n int")
 
 
-def _group_sizes(own: DataFrame) -> DataFrame:
-    """(t, k): how many shingles of each set fall in each group; 255 stands for any more."""
+def parity_sketch(own: np.ndarray, groups: int) -> bytes:
+    """Bit k: whether an odd number of the hashes fall in group k."""
+    odd = np.bincount((own % np.uint64(groups)).astype(np.int64), minlength=groups) & 1
+    return np.packbits(odd.astype(np.uint8)).tobytes()
+
+
+def fold(sketch: np.ndarray, size: int) -> np.ndarray:
+    """The sketch of the same set over fewer groups: its parts of ``size`` bytes XORed."""
+    return np.bitwise_xor.reduce(sketch.reshape(-1, size), axis=0)
+
+
+def _sketches(own: DataFrame) -> DataFrame:
+    """(t, n, k, w): size of each set, its parity sketch, and one over as many groups as shingles, rounded up to a power of two."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [unpack(x) for x in batch.column(1)]
+            wide = [parity_sketch(x, max(GROUPS, 1 << (len(x) - 1).bit_length() if len(x) else 1)) for x in sets]
+            narrow = [fold(np.frombuffer(x, np.uint8), GROUPS // 8).tobytes() for x in wide]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) for x in sets], pa.int32()), pa.array(narrow, pa.binary()), pa.array(wide, pa.binary())], names=["t", "n", "k", "w"])
+
+    return own.select("t", "s").mapInArrow(run, "t long, n int, k binary, w binary")
+
+
+def _words(column: pa.Array) -> np.ndarray:
+    """Sketches as rows of words."""
+    return np.frombuffer(b"".join(column.to_pylist()), np.uint64).reshape(-1, WORDS)
+
+
+def _slack(similarity: float) -> float:
+    """Shingles in one set only, as a share of both sets' sizes, at this similarity."""
+    return (1 - similarity) / (1 + similarity)
+
+
+def _possible(pairs: DataFrame, sketches: DataFrame, similarity: float) -> DataFrame:
+    """The pairs that their wide sketches don't rule out; no pair of the similarity goes."""
+    slack = _slack(similarity)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sizes = [np.minimum(np.bincount((unpack(x) % np.uint64(GROUPS)).astype(np.int64), minlength=GROUPS), 255).astype(np.uint8).tobytes() for x in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.binary())], names=["t", "k"])
+            keep = []
+            for x, y, n in zip(batch.column(2), batch.column(3), batch.column(4).to_pylist()):
+                x, y = (np.frombuffer(v.as_buffer(), np.uint8) for v in (x, y))
+                size = min(len(x), len(y))
+                keep.append(int(np.bitwise_count(fold(x, size) ^ fold(y, size)).sum()) <= slack * n + 1e-9)
+            yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
+
+    joined = pairs.join(sketches.select(F.col("t").alias("a"), F.col("w").alias("x"), F.col("n").alias("n_a")), "a").join(sketches.select(F.col("t").alias("b"), F.col("w").alias("y"), F.col("n").alias("n_b")), "b")
+    return cut(joined.select("a", "b", "x", "y", (F.col("n_a") + F.col("n_b")).alias("n")).mapInArrow(run, "a long, b long"))
 
-    return own.select("t", "s").mapInArrow(run, "t long, k binary")
 
+def _bound(n: np.ndarray, m: np.ndarray, slack: float) -> np.ndarray:
+    """How many shingles of similar sets of these sizes may be in one only; below zero where the sizes alone rule it out."""
+    bound = slack * (n + m) + 1e-9
+    return np.where(np.abs(n - m) <= bound, bound, -1.0)
 
-def _possible(pairs: DataFrame, sizes: DataFrame, similarity: float) -> DataFrame:
-    """The pairs that the sizes of their groups don't rule out; no pair of the similarity goes."""
+
+def _apart(x: np.ndarray, y: np.ndarray, bound: np.ndarray) -> np.ndarray:
+    """Bits in which the sketches x[:, i] and y[:, j] differ, word by word; ends early once all exceed their bounds."""
+    total = np.zeros(bound.shape, np.int32)
+    for k in range(WORDS):
+        total += np.bitwise_count(x[k][:, None] ^ y[k][None, :])
+        if k % 4 == 3 and (total > bound).all():
+            break
+    return total
+
+
+def _across(one: slice, other: slice, cols: dict[str, np.ndarray], slack: float, nearest: bool) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Rows (i, j) of the two parts, of different classes, that the sketches don't rule out; nearest: of each other class only the closest j."""
+    root, n, y = cols["root"][other], cols["n"][other], np.ascontiguousarray(cols["k"][other].T)
+    for lo in range(one.start, one.stop, 64):
+        part = slice(lo, min(lo + 64, one.stop))
+        bound = _bound(cols["n"][part][:, None], n[None, :], slack)
+        bound[cols["root"][part][:, None] == root[None, :]] = -1
+        total = _apart(np.ascontiguousarray(cols["k"][part].T), y, bound)
+        i, j = np.nonzero(total <= bound)
+        if nearest and len(i):
+            order = np.lexsort((total[i, j], root[j], i))
+            i, j = i[order], j[order]
+            first = np.concatenate([[True], (i[1:] != i[:-1]) | (root[j[1:]] != root[j[:-1]])])
+            i, j = i[first], j[first]
+        yield i + lo, j + other.start
+
+
+def _block_pairs(key: np.ndarray, cols: dict[str, np.ndarray], slack: float, nearest: bool) -> tuple[np.ndarray, np.ndarray]:
+    """Candidate rows (i, j) within runs of equal keys; side 0: a whole block, 1 and 2: two tiles to be held against each other."""
+    n = len(key)
+    starts = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+    size = np.diff(np.append(starts, n))
+    left, right = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    tiled = cols["side"][starts] > 0
+    small = (size <= 24) & ~tiled
+    at = np.flatnonzero(np.repeat(small & (size > 1), size))
+    for lag in range(1, int(size[small].max(initial=1))):
+        at = at[at + lag < n]
+        at = at[key[at + lag] == key[at]]
+        own = at[cols["root"][at] != cols["root"][at + lag]]
+        bound = _bound(cols["n"][own], cols["n"][own + lag], slack)
+        own = own[np.bitwise_count(cols["k"][own] ^ cols["k"][own + lag]).sum(axis=1, dtype=np.int64) <= bound]
+        left.append(own)
+        right.append(own + lag)
+    for s, m, two in zip(starts[~small].tolist(), size[~small].tolist(), tiled[~small].tolist()):
+        middle = s + int((cols["side"][s : s + m] == 1).sum())
+        parts = (slice(s, middle), slice(middle, s + m)) if two else (slice(s, s + m), slice(s, s + m))
+        for i, j in _across(*parts, cols, slack, nearest):
+            left.append(i)
+            right.append(j)
+    return np.concatenate(left), np.concatenate(right)
+
+
+def _candidates(placed: DataFrame, sketches: DataFrame, similarity: float, nearest: bool) -> DataFrame:
+    """Distinct pairs (a, b), a < b, of texts that share a prefix shingle, are in different classes and may be similar.
+
+    A shingle of over ``TILE`` texts is dealt out as pairs of tiles. ``nearest``
+    takes for each text, of each other class of a shingle, the closest one.
+    """
+    slack = _slack(similarity)
+    many = placed.groupBy("h").agg(F.count("*").alias("m"))
+    met = skew_join(placed, cut(many), ["h"], "m", F.col("t")).withColumn("tiles", F.ceil(F.col("m") / TILE).cast("int"))
+    own = F.pmod(F.xxhash64("t"), F.col("tiles")).cast("int")
+    dealt = met.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
+    side = F.when(F.col("own") == F.col("other"), 0).when(F.col("own") < F.col("other"), 1).otherwise(2)
+    dealt = dealt.select("t", "root", F.xxhash64("h", F.least("own", "other"), F.greatest("own", "other")).alias("key"), side.alias("side"))
+    rows = dealt.join(sketches, "t").select("key", "side", "t", "root", "n", "k").repartition("key").sortWithinPartitions("key", "side")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rest: list[np.ndarray] | None = None
+
+        def found(key, side, t, root, n, k):
+            i, j = _block_pairs(key, {"side": side, "root": root, "n": n, "k": k}, slack, nearest)
+            pairs = np.unique(np.stack([np.minimum(t[i], t[j]), np.maximum(t[i], t[j])]), axis=1)
+            return pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], names=["a", "b"])
+
         for batch in batches:
             if not batch.num_rows:
                 continue
-            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(-1, GROUPS).astype(np.int64) for c in (2, 3))
-            shared = np.minimum(x, y).sum(axis=1)
-            full = ((x == 255) & (y == 255)).any(axis=1)
-            keep = full | (shared >= similarity * np.maximum(x.sum(axis=1) + y.sum(axis=1) - shared, 0) - 1e-9)
-            yield batch.select([0, 1]).filter(pa.array(keep))
+            now = [*(batch.column(c).to_numpy(zero_copy_only=False) for c in range(5)), _words(batch.column(5))]
+            if rest is not None:
+                now = [np.concatenate([r, x]) for r, x in zip(rest, now)]
+            new = np.flatnonzero(now[0][1:] != now[0][:-1])
+            whole = int(new[-1]) + 1 if len(new) else 0  # the last run may go on
+            rest = [x[whole:] for x in now]
+            if whole:
+                yield found(*(x[:whole] for x in now))
+        if rest is not None and len(rest[0]):
+            yield found(*rest)
 
-    joined = pairs.join(sizes.select(F.col("t").alias("a"), F.col("k").alias("x")), "a").join(sizes.select(F.col("t").alias("b"), F.col("k").alias("y")), "b")
-    return cut(joined.select("a", "b", "x", "y").mapInArrow(run, "a long, b long"))
+    return cut(rows.mapInArrow(run, "a long, b long").distinct())
 
 
 def _similar(pairs: DataFrame, own: DataFrame, similarity: float) -> DataFrame:
-    """The pairs (a, b) whose shingle sets reach the similarity: the sets of all b come after that of their a."""
-    sent = pairs.select("a", F.col("b").alias("t")).unionByName(pairs.select("a", F.col("a").alias("t")).distinct())
-    dealt = sent.join(own, "t").select("a", (F.col("t") != F.col("a")).alias("later"), F.col("t").alias("b"), "s")
+    """The pairs (a, b) whose shingle sets reach the similarity: the sets of b come after that of their a, ``STAR`` a task or so."""
+    stars_ = cut(pairs.groupBy("a").agg(F.count("*").alias("m")))
+    pairs = skew_join(pairs, stars_, ["a"], "m", F.col("b")).select("a", F.pmod(F.xxhash64("b"), F.ceil(F.col("m") / STAR)).alias("part"), "b")
+    sent = pairs.select("a", "part", F.col("b").alias("t")).unionByName(pairs.select("a", "part", F.col("a").alias("t")).distinct())
+    dealt = sent.join(own, "t").select("a", (F.col("t") != F.col("a")).alias("later"), F.col("t").alias("b"), "s", "part")
 
     def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         head, x = None, None
@@ -391,7 +523,7 @@ def _similar(pairs: DataFrame, own: DataFrame, similarity: float) -> DataFrame:
             keep = []
             for a, later, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(3)):
                 y = unpack(y)
-                if not later:
+                if not later:  # once more for each part
                     head, x = a, y.copy()
                     keep.append(False)
                     continue
@@ -401,14 +533,14 @@ def _similar(pairs: DataFrame, own: DataFrame, similarity: float) -> DataFrame:
                 keep.append(shared >= similarity * (both - shared) - 1e-9)
             yield batch.select([0, 2]).filter(pa.array(keep, pa.bool_()))
 
-    return dealt.repartition("a").sortWithinPartitions("a", "later").mapInArrow(check, "a long, b long")
+    return dealt.repartition("a", "part").sortWithinPartitions("a", "part", "later").mapInArrow(check, "a long, b long")
 
 
 def similar_classes(docs: DataFrame, shingle: int, similarity: float) -> DataFrame:
     """(th, root): hashes of the distinct texts and of the least text of their class; texts link by Jaccard similarity.
 
     Each text is first compared with the least text of each of its prefix shingles,
-    then with all others that are in another class so far. Null, empty and blank
+    then with the closest of each other class there, then with all that are in another class still. Null, empty and blank
     texts have no shingles and are equal.
     """
 
@@ -420,27 +552,36 @@ def similar_classes(docs: DataFrame, shingle: int, similarity: float) -> DataFra
     own = cut(rows.dropDuplicates(["t"]).mapInArrow(sets, "t long, s binary"))
     # the order may put any shingles last, so a part of the texts is enough to name common ones
     part, everything = 8, own.count()
-    sizes = cut(_group_sizes(own))
+    sketches = cut(_sketches(own))
     often = _prefixes(own.where(F.pmod(F.xxhash64("t"), F.lit(part)) == 0), similarity, np.zeros(0, np.uint64))
     often = often.groupBy("h").count().where(F.col("count") > max(COMMON, everything // 1000) / part)
     common = np.sort(np.array([r["h"] for r in often.select("h").toLocalIterator()], np.int64).view(np.uint64))
     near = lambda n, m: F.least(n, m) >= similarity * F.greatest(n, m) - 1e-9
-    by_shingle = Window.partitionBy("h")
-    keyed = _prefixes(own, similarity, common).withColumn("head", F.min(F.struct("t", "n")).over(by_shingle)).withColumn("many", F.count("*").over(by_shingle))
-    keyed = cut(keyed.where("many > 1").select("h", "t", "n", F.col("head.t").alias("head"), F.col("head.n").alias("m")))
+    prefixes = cut(_prefixes(own, similarity, common))
+    shared = cut(prefixes.groupBy("h").agg(F.count("*").alias("many"), F.min(F.struct("t", "n")).alias("head")).where("many > 1"))
+    keyed = skew_join(prefixes, shared, ["h"], "many", F.col("t")).where("many is not null")
+    keyed = cut(keyed.select("h", "t", "n", F.col("head.t").alias("head"), F.col("head.n").alias("m")))
     heads = cut(keyed.where((F.col("t") != F.col("head")) & near(F.col("n"), F.col("m"))).select(F.col("head").alias("a"), F.col("t").alias("b")).distinct())
+    keyed = keyed.select("h", "t")
     down = lambda e: e.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
     blank = own.where(F.length("s") == 0).select("t")
     blank = blank.crossJoin(F.broadcast(blank.agg(F.min("t").alias("a")))).where("t <> a").select("a", F.col("t").alias("b"))
-    # a is the least text of a star; its set is sent once
-    sure = cut(_similar(_possible(heads, sizes, similarity), own, similarity).unionByName(blank))
-    placed = keyed.select("h", "t", "n").join(components(down(sure)).withColumnRenamed("node", "t"), "t", "left").select("h", "t", "n", F.coalesce("root", "t").alias("root"))
-    placed = placed.withColumn("lo", F.min("root").over(by_shingle)).withColumn("hi", F.max("root").over(by_shingle))
-    placed = cut(placed.where("lo <> hi").select("h", "t", "n", "root"))
-    x, y = placed.alias("x"), placed.alias("y")
-    rest = x.join(y, (F.col("x.h") == F.col("y.h")) & (F.col("x.t") < F.col("y.t")) & (F.col("x.root") != F.col("y.root")) & near(F.col("x.n"), F.col("y.n")))
-    rest = cut(rest.select(F.col("x.t").alias("a"), F.col("y.t").alias("b")).distinct().join(heads, ["a", "b"], "left_anti"))
-    roots = components(down(sure.unionByName(_similar(_possible(rest, sizes, similarity), own, similarity))))
+    # a is the least text of a star; its set is sent once a part
+    sure = cut(_similar(_possible(heads, sketches, similarity), own, similarity).unionByName(blank))
+    tried = heads
+    # the closest text of each other class first: it mostly joins the classes, and few pairs are left for the whole comparison
+    for nearest in (True, False):
+        roots = components(down(sure)).withColumnRenamed("node", "t")
+        placed = keyed.join(roots, "t", "left").select("h", "t", F.coalesce("root", "t").alias("root"))
+        # shingles of the same texts, as in a passage, give the same pairs: one of them is enough (texts told apart by sum, count and both ends of their hashes)
+        of = placed.groupBy("h").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("many"), F.sum(F.xxhash64("t").cast("decimal(20,0)")).alias("all"), F.min("t").alias("first"), F.max("t").alias("last"))
+        mixed = cut(of.where("lo <> hi").groupBy("all", "many", "first", "last").agg(F.min("h").alias("h")).select("h", "many"))
+        keyed = cut(skew_join(placed, mixed, ["h"], "many", F.col("t")).where("many is not null").select("h", "t", "root"))
+        rest = cut(_candidates(keyed, sketches, similarity, nearest).join(tried, ["a", "b"], "left_anti"))
+        sure = cut(sure.unionByName(_similar(_possible(rest, sketches, similarity), own, similarity)))
+        tried = tried.unionByName(rest)
+        keyed = keyed.select("h", "t")
+    roots = components(down(sure))
     return own.select("t").join(roots, own.t == roots.node, "left").select(F.col("t").alias("th"), F.coalesce("root", "t").alias("root"))
 
 
