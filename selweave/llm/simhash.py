@@ -24,7 +24,7 @@ says whether an odd number of a set's shingles fall in group k, so the bits in
 which two sketches differ are never more than the shingles that only one of the
 sets has, and no similar pair is missed. The sketches' words stand vertically and
 a block is abandoned once all its distances exceed their bounds. Only pairs that
-pass leave the task; sketches as wide as long texts need sift them once more, and
+pass leave the task; sketches of full width sift those of long texts once more, and
 every link is checked on the whole sets. Shingles are told apart by 40 bits of hash within these sets: a text of 1e5
 shingles has two alike with odds of 0.5 %, which moves a similarity by 1e-5.
 
@@ -56,9 +56,9 @@ TILE = 4096
 LOAD = 64
 #: Shingles in the prefixes of more texts than this (or than a thousandth of all) come last in the order.
 COMMON = 100
-#: Bits of a parity sketch, and words it fills.
-GROUPS = 1024
-WORDS = GROUPS // 64
+#: Logarithms of the groups of a sketch: the fewest, and the most that are compared inside a task.
+NARROW = 10
+WIDE = 16
 #: Links with one text that one task checks.
 STAR = 256
 
@@ -372,21 +372,36 @@ def fold(sketch: np.ndarray, size: int) -> np.ndarray:
 
 
 def _sketches(own: DataFrame) -> DataFrame:
-    """(t, n, k, w): size of each set, its parity sketch, and one over as many groups as shingles, rounded up to a power of two."""
+    """(t, n, w): size of each set and a parity sketch over twice as many groups as shingles, rounded up to a power of two."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             sets = [unpack(x) for x in batch.column(1)]
-            wide = [parity_sketch(x, max(GROUPS, 1 << (len(x) - 1).bit_length() if len(x) else 1)) for x in sets]
-            narrow = [fold(np.frombuffer(x, np.uint8), GROUPS // 8).tobytes() for x in wide]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) for x in sets], pa.int32()), pa.array(narrow, pa.binary()), pa.array(wide, pa.binary())], names=["t", "n", "k", "w"])
+            wide = [parity_sketch(x, 1 << max(NARROW, (2 * len(x) - 1).bit_length())) for x in sets]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) for x in sets], pa.int32()), pa.array(wide, pa.binary())], names=["t", "n", "w"])
 
-    return own.select("t", "s").mapInArrow(run, "t long, n int, k binary, w binary")
+    return own.select("t", "s").mapInArrow(run, "t long, n int, w binary")
 
 
-def _words(column: pa.Array) -> np.ndarray:
-    """Sketches as rows of words."""
-    return np.frombuffer(b"".join(column.to_pylist()), np.uint64).reshape(-1, WORDS)
+def _by_size(sketches: DataFrame, similarity: float) -> DataFrame:
+    """(t, n, size, k): the sketch folded to 2**size groups, for each size of which the set may be the smaller or the larger one of a pair.
+
+    A pair meets in the size of its larger set, which has at most as many shingles
+    as groups (up to ``WIDE``).
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = []
+            for t, n, w in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2)):
+                wide = np.frombuffer(w.as_buffer(), np.uint8)
+                for size in sorted({min(max(NARROW, m.bit_length()), WIDE) for m in (n, int(n / similarity + 1e-9))}):
+                    out.append((t, n, size, fold(wide, (1 << size) // 8).tobytes()))
+            if out:
+                t, n, size, k = zip(*out)
+                yield pa.RecordBatch.from_arrays([pa.array(t, pa.int64()), pa.array(n, pa.int32()), pa.array(size, pa.int32()), pa.array(k, pa.binary())], names=["t", "n", "size", "k"])
+
+    return sketches.select("t", "n", "w").mapInArrow(run, "t long, n int, size int, k binary")
 
 
 def _slack(similarity: float) -> float:
@@ -420,15 +435,23 @@ def _bound(n: np.ndarray, m: np.ndarray, slack: float) -> np.ndarray:
 def _apart(x: np.ndarray, y: np.ndarray, bound: np.ndarray) -> np.ndarray:
     """Bits in which the sketches x[:, i] and y[:, j] differ, word by word; ends early once all exceed their bounds."""
     total = np.zeros(bound.shape, np.int32)
-    for k in range(WORDS):
+    for k in range(len(x)):
         total += np.bitwise_count(x[k][:, None] ^ y[k][None, :])
         if k % 4 == 3 and (total > bound).all():
             break
     return total
 
 
+def _closest(i: np.ndarray, j: np.ndarray, apart: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of each i the pair that is least apart."""
+    order = np.lexsort((apart, i))
+    i, j = i[order], j[order]
+    first = np.concatenate([[True], i[1:] != i[:-1]])
+    return i[first], j[first]
+
+
 def _across(one: slice, other: slice, cols: dict[str, np.ndarray], slack: float, nearest: bool) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Rows (i, j) of the two parts, of different classes, that the sketches don't rule out; nearest: of each other class only the closest j."""
+    """Rows (i, j) of the two parts, of different classes, that the sketches don't rule out; nearest: for each i only the closest j."""
     root, n, y = cols["root"][other], cols["n"][other], np.ascontiguousarray(cols["k"][other].T)
     for lo in range(one.start, one.stop, 64):
         part = slice(lo, min(lo + 64, one.stop))
@@ -437,10 +460,7 @@ def _across(one: slice, other: slice, cols: dict[str, np.ndarray], slack: float,
         total = _apart(np.ascontiguousarray(cols["k"][part].T), y, bound)
         i, j = np.nonzero(total <= bound)
         if nearest and len(i):
-            order = np.lexsort((total[i, j], root[j], i))
-            i, j = i[order], j[order]
-            first = np.concatenate([[True], (i[1:] != i[:-1]) | (root[j[1:]] != root[j[:-1]])])
-            i, j = i[first], j[first]
+            i, j = _closest(i, j, total[i, j])
         yield i + lo, j + other.start
 
 
@@ -452,15 +472,21 @@ def _block_pairs(key: np.ndarray, cols: dict[str, np.ndarray], slack: float, nea
     left, right = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
     tiled = cols["side"][starts] > 0
     small = (size <= 24) & ~tiled
-    at = np.flatnonzero(np.repeat(small & (size > 1), size))
+    at, apart = np.flatnonzero(np.repeat(small & (size > 1), size)), [np.zeros(0, np.int64)]
     for lag in range(1, int(size[small].max(initial=1))):
         at = at[at + lag < n]
         at = at[key[at + lag] == key[at]]
         own = at[cols["root"][at] != cols["root"][at + lag]]
         bound = _bound(cols["n"][own], cols["n"][own + lag], slack)
-        own = own[np.bitwise_count(cols["k"][own] ^ cols["k"][own + lag]).sum(axis=1, dtype=np.int64) <= bound]
+        total = np.bitwise_count(cols["k"][own] ^ cols["k"][own + lag]).sum(axis=1, dtype=np.int64)
+        own, total = own[total <= bound], total[total <= bound]
         left.append(own)
         right.append(own + lag)
+        apart.append(total)
+    if nearest and sum(map(len, left)):
+        i, j, d = np.concatenate(left), np.concatenate(right), np.concatenate(apart)
+        i, j = _closest(np.concatenate([i, j]), np.concatenate([j, i]), np.concatenate([d, d]))
+        left, right = [i], [j]
     for s, m, two in zip(starts[~small].tolist(), size[~small].tolist(), tiled[~small].tolist()):
         middle = s + int((cols["side"][s : s + m] == 1).sum())
         parts = (slice(s, middle), slice(middle, s + m)) if two else (slice(s, s + m), slice(s, s + m))
@@ -474,7 +500,7 @@ def _candidates(placed: DataFrame, sketches: DataFrame, similarity: float, neare
     """Distinct pairs (a, b), a < b, of texts that share a prefix shingle, are in different classes and may be similar.
 
     A shingle of over ``TILE`` texts is dealt out as pairs of tiles. ``nearest``
-    takes for each text, of each other class of a shingle, the closest one.
+    takes for each text of a block the closest one of another class.
     """
     slack = _slack(similarity)
     many = placed.groupBy("h").agg(F.count("*").alias("m"))
@@ -483,7 +509,8 @@ def _candidates(placed: DataFrame, sketches: DataFrame, similarity: float, neare
     dealt = met.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
     side = F.when(F.col("own") == F.col("other"), 0).when(F.col("own") < F.col("other"), 1).otherwise(2)
     dealt = dealt.select("t", "root", F.xxhash64("h", F.least("own", "other"), F.greatest("own", "other")).alias("key"), side.alias("side"))
-    rows = dealt.join(sketches, "t").select("key", "side", "t", "root", "n", "k").repartition("key").sortWithinPartitions("key", "side")
+    rows = dealt.join(_by_size(sketches, similarity), "t").select(F.xxhash64("key", "size").alias("key"), "side", "t", "root", "n", "k", "size")
+    rows = rows.repartition("key").sortWithinPartitions("size", "key", "side")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rest: list[np.ndarray] | None = None
@@ -494,16 +521,23 @@ def _candidates(placed: DataFrame, sketches: DataFrame, similarity: float, neare
             return pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], names=["a", "b"])
 
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            now = [*(batch.column(c).to_numpy(zero_copy_only=False) for c in range(5)), _words(batch.column(5))]
-            if rest is not None:
-                now = [np.concatenate([r, x]) for r, x in zip(rest, now)]
-            new = np.flatnonzero(now[0][1:] != now[0][:-1])
-            whole = int(new[-1]) + 1 if len(new) else 0  # the last run may go on
-            rest = [x[whole:] for x in now]
-            if whole:
-                yield found(*(x[:whole] for x in now))
+            sizes = batch.column(6).to_numpy(zero_copy_only=False)
+            for size in np.unique(sizes).tolist():
+                lo, hi = np.searchsorted(sizes, [size, size + 1]).tolist()
+                part = batch.slice(lo, hi - lo)
+                words = np.frombuffer(b"".join(part.column(5).to_pylist()), np.uint64).reshape(hi - lo, -1)
+                now = [*(part.column(c).to_numpy(zero_copy_only=False) for c in range(5)), words]
+                if rest is not None and rest[5].shape[1] != words.shape[1]:
+                    if len(rest[0]):
+                        yield found(*rest)
+                    rest = None
+                if rest is not None:
+                    now = [np.concatenate([r, x]) for r, x in zip(rest, now)]
+                new = np.flatnonzero(now[0][1:] != now[0][:-1])
+                whole = int(new[-1]) + 1 if len(new) else 0  # the last run may go on
+                rest = [x[whole:] for x in now]
+                if whole:
+                    yield found(*(x[:whole] for x in now))
         if rest is not None and len(rest[0]):
             yield found(*rest)
 
@@ -540,7 +574,7 @@ def similar_classes(docs: DataFrame, shingle: int, similarity: float) -> DataFra
     """(th, root): hashes of the distinct texts and of the least text of their class; texts link by Jaccard similarity.
 
     Each text is first compared with the least text of each of its prefix shingles,
-    then with the closest of each other class there, then with all that are in another class still. Null, empty and blank
+    then with the closest of another class there, then with all that are in another class still. Null, empty and blank
     texts have no shingles and are equal.
     """
 
@@ -569,7 +603,7 @@ def similar_classes(docs: DataFrame, shingle: int, similarity: float) -> DataFra
     # a is the least text of a star; its set is sent once a part
     sure = cut(_similar(_possible(heads, sketches, similarity), own, similarity).unionByName(blank))
     tried = heads
-    # the closest text of each other class first: it mostly joins the classes, and few pairs are left for the whole comparison
+    # the closest text of another class first: it mostly joins the classes, and few pairs are left for the whole comparison
     for nearest in (True, False):
         roots = components(down(sure)).withColumnRenamed("node", "t")
         placed = keyed.join(roots, "t", "left").select("h", "t", F.coalesce("root", "t").alias("root"))
