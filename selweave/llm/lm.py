@@ -300,12 +300,14 @@ def score(spark: SparkSession, docs: DataFrame, model_path: str, is_held_out=Non
             yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), batch.column(1), batch.column(2), batch.column(3), pa.array(n_words + 1, pa.int64()), pa.array(known), pa.array(part), pa.array(logs / np.log(10.0)), rare], names=["doc_id", "held", "t", "u", "n_tokens", "known", "part", "score", "rare"])
 
     scored = cut(rows.mapInArrow(run, schema))
-    # one row a text: its rare words, and how many documents have it
-    rare = scored.where(F.size("rare") > 0).groupBy("t", "u").agg(F.first("rare").alias("rare"), F.count("*").alias("copies"))
-    each = rare.select("t", "u", "copies", F.explode("rare").alias("r")).select("t", "u", "copies", "r.*")
-    sums = cut(each.join(counts, ["a", "b"]).groupBy("t", "u").agg(F.max("copies").alias("copies"), F.sum("m").cast("long").alias("more"), F.sum(F.col("m") * F.log10(F.col("c") + 1.0)).alias("rest")))
-    whole = skew_join(scored.select("doc_id", "held", "t", "u", "n_tokens", "known", "part", "score"), sums, ["t", "u"], "copies", F.col("doc_id"))
+    # one row a text: its rare words, how many documents have it, and one score for all of them, as sums of floats
+    # differ in the last digits with the batch that a copy stands in
+    one = scored.groupBy("t", "u").agg(F.first("rare").alias("rare"), F.count("*").alias("copies"), F.min("score").alias("one"))
+    each = one.where(F.size("rare") > 0).select("t", "u", F.explode("rare").alias("r")).select("t", "u", "r.*")
+    sums = each.join(counts, ["a", "b"]).groupBy("t", "u").agg(F.sum("m").cast("long").alias("more"), F.sum(F.col("m") * F.log10(F.col("c") + 1.0)).alias("rest"))
+    by_text = cut(one.where((F.size("rare") > 0) | (F.col("copies") > 1)).select("t", "u", "copies", "one").join(sums, ["t", "u"], "left"))
+    whole = skew_join(scored.select("doc_id", "held", "t", "u", "n_tokens", "known", "part", "score"), by_text, ["t", "u"], "copies", F.col("doc_id"))
     return whole.select(
         "doc_id", F.col("held").alias("held_out"), "n_tokens", (F.col("known") + F.coalesce("more", F.lit(0))).cast("long").alias("n_known"), F.lit(int(total)).cast("long").alias("train_tokens"),
-        (F.col("part") + F.coalesce("rest", F.lit(0.0)) - F.col("n_tokens") * F.lit(float(np.log10(total + kinds + 1)))).alias("base_score"), "score",
+        (F.col("part") + F.coalesce("rest", F.lit(0.0)) - F.col("n_tokens") * F.lit(float(np.log10(total + kinds + 1)))).alias("base_score"), F.coalesce("one", "score").alias("score"),
     )
