@@ -201,8 +201,8 @@ def error_boxes(which: str, by: str) -> Query:
         r = relation(spark, sf_dir, "shipments")
         w = combo(spark, r)
         truth = true_counts(r.tuples, Queries.of_frame(w, r.dic))
-        errors = grouped(r, errors(truth, _estimates(spark, r, w, which)), w, (by,))
-        return box(errors, by)
+        found = grouped(r, errors(truth, _estimates(spark, r, w, which)), w, (by,))
+        return box(found, by)
 
     return run
 
