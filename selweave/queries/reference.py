@@ -352,15 +352,22 @@ def oracle_sql() -> dict[str, str]:
     out["d2a_empty_truth"] = f"{combo} SELECT k, count(*) AS n, CAST(count(*) FILTER (WHERE true_rows = 0) AS BIGINT) AS empty_true FROM truth GROUP BY k"
     out["gates"] = " UNION ALL ".join(f"SELECT '{g}' AS gate, true AS holds" for g in experiments.GATES)
     out["w23_wide_range"] = f"WITH {sql.view('partsales')}, {sql.dictionary('partsales')} SELECT CAST(10000 AS BIGINT) AS points, count(*) AS est_rows FROM v JOIN d a ON a.attr = 'partkey' AND a.value = CAST(v.partkey AS VARCHAR) JOIN d b ON b.attr = 'suppkey' AND b.value = CAST(v.suppkey AS VARCHAR) WHERE a.code < 100 AND b.code < 100"
-    out["w24_encodings"] = "SELECT * FROM (VALUES (0, '1000', '00'), (1, '0100', '01'), (2, '0010', '10'), (3, '0001', '11')) x(code, one_hot, bits)"
-    out["w24_scaling"] = "SELECT CAST(s AS DOUBLE) AS selectivity, round(-log10(s) * 1.000000001, 4) AS raw, round((-log10(s) - 1) / (-log10(0.002) - 1) * 1.000000001, 4) AS scaled FROM (VALUES (0.1), (0.01), (0.002)) x(s)"
-    out["w24_weights"] = "SELECT attr, code, round(w * 1.000000001, 6) AS weight FROM (VALUES ('a', -1, 2 / 3), ('b', -1, 1 / 3), ('a', 0, 100 / 101), ('a', 1, 1 / 101), ('b', 0, 0.5), ('b', 1, 0.5)) x(attr, code, w)"
+    orders = f"WITH {sql.view('orderbook')}"
+    coded = "x AS (SELECT CAST(row_number() OVER (ORDER BY priority NULLS FIRST) - 1 AS INT) AS code, count(*) OVER () AS card FROM v GROUP BY priority)"
+    width = "CASE WHEN card > 1 THEN CAST(ceil(log2(card)) AS INT) ELSE 0 END"
+    out["w24_encodings"] = f"{orders}, {coded} SELECT code, array_to_string([CASE WHEN i = code THEN '1' ELSE '0' END FOR i IN range(card)], '') AS one_hot, coalesce(array_to_string([CAST((code >> ({width} - 1 - CAST(i AS INT))) & 1 AS VARCHAR) FOR i IN range({width})], ''), '') AS bits FROM x"
+    shares = "s AS (SELECT count(*) / sum(count(*)) OVER () AS s FROM v GROUP BY nation), m AS (SELECT min(-log10(s)) AS low, max(-log10(s)) AS high FROM s)"
+    out["w24_scaling"] = f"{orders}, {shares} SELECT s AS selectivity, round(-log10(s) * 1.000000001, 4) AS raw, round((-log10(s) - low) / CASE WHEN high > low THEN high - low ELSE 1 END * 1.000000001, 4) AS scaled FROM s, m"
+    logged_orders = "d AS (SELECT 'status' AS attr, status AS value, count(*) AS n FROM v GROUP BY status UNION ALL SELECT 'priority', priority, count(*) FILTER (WHERE omonth > 6) FROM v GROUP BY priority), y AS (SELECT attr, n, CAST(row_number() OVER (PARTITION BY attr ORDER BY value NULLS FIRST) - 1 AS INT) AS code FROM d)"
+    out["w24_weights"] = f"{orders}, {logged_orders} SELECT attr, code, round(w * 1.000000001, 6) AS weight FROM (SELECT attr, -1 AS code, sum(n) / greatest(sum(sum(n)) OVER (), 1) AS w FROM y GROUP BY attr UNION ALL SELECT attr, code, greatest(n, 1) / sum(greatest(n, 1)) OVER (PARTITION BY attr) FROM y)"
     out["s3_discretised"] = (
         "WITH p AS (SELECT l_extendedprice AS x FROM lineitem), m AS (SELECT min(x) AS low, max(x) AS high, quantile_cont(x, [0.125, 0.25, 0.375, 0.5, 0.625, 0.75, 0.875]) AS q FROM p) "
         "SELECT 'width' AS kind, CAST(least(floor((x - low) / ((high - low) / 8)), 7) AS INT) AS bin, count(*) AS n FROM p, m GROUP BY ALL UNION ALL SELECT 'quantile', CAST(len([c FOR c IN q IF x > c]) AS INT), count(*) FROM p, m GROUP BY ALL"
     )
     out["s4_scaled_bounds"] = f"{ships}, {sql.ranged('shipments', ['oyear', 'price_band'], 200)} SELECT q.qid, c.attr, round(coalesce(lo, 0) / greatest(card - 1, 1) * 1.000000001, 4) AS low, round(coalesce(hi, card - 1) / greatest(card - 1, 1) * 1.000000001, 4) AS high, CASE WHEN coalesce(lo, 0) > 0 OR coalesce(hi, card - 1) < card - 1 THEN 1 ELSE 0 END AS asked FROM (SELECT DISTINCT qid FROM w) q CROSS JOIN c LEFT JOIN w ON w.qid = q.qid AND w.attr = c.attr"
-    out["s5_operators"] = "SELECT * FROM (VALUES ('=', '10000'), ('<', '01000'), ('<=', '00100'), ('>', '00010'), ('>=', '00001'), ('none', '00000')) x(operator, slots)"
+    middle = "m AS (SELECT y[len(y) // 2 + 1] AS x FROM (SELECT list_sort(list(DISTINCT oyear)) AS y FROM v WHERE oyear IS NOT NULL))"
+    slots = (("=", "10000"), ("<", "01000"), ("<=", "00100"), (">", "00010"), (">=", "00001"))
+    out["s5_operators"] = f"{orders}, {middle} " + " UNION ALL ".join(f"SELECT '{o}' AS operator, '{x}' AS slots, count(*) AS true_rows FROM v, m WHERE oyear {o} x" for o, x in slots) + " UNION ALL SELECT 'none', '00000', count(*) FROM v"
     out["where_function"] = f"WITH {sql.view('dialog')} " + " UNION ALL ".join(f"SELECT {k} AS id, round(count(*) FILTER (WHERE {t}) / count(*) * 1.000000001, 6) AS sel FROM v" for k, t in enumerate(WHERES))
     out["planner_joins"] = f"{independent} SELECT qid, CASE WHEN est_rows * 100 <= 100000 THEN 'broadcast' ELSE 'shuffle' END AS strategy, CAST(greatest(1, ceil(est_rows * 100 / 20000.0)) AS INT) AS partitions FROM est"
     out["planner_conditions"] = f"{combo} SELECT qid, w.attr, CAST(row_number() OVER (PARTITION BY qid ORDER BY freq, w.attr) AS INT) AS place FROM w JOIN d ON d.attr = w.attr AND d.code = w.lo"
