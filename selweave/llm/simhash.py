@@ -17,7 +17,9 @@ gives a spanning star for each of its classes and never all pairs. Buckets over
 
 Stages that drop near-duplicates take another rule than the fingerprints' radius:
 texts link if the Jaccard similarity of their shingle sets reaches a bound
-(``similar_classes``). Candidates come from an exact prefix filter (of a set's
+(``similar_classes``). The first candidates are the links of fingerprints of those
+sets, by the same tables and bit planes as above. For pairs beyond the radius the
+others come from an exact prefix filter (of a set's
 shingles in one order for all texts, those that every similar set must share one
 of). Texts of a prefix shingle are compared inside tasks by parity sketches: bit k
 says whether an odd number of a set's shingles fall in group k, so the bits in
@@ -345,6 +347,23 @@ def prefix(own: np.ndarray, similarity: float, common: np.ndarray) -> np.ndarray
     return own[: len(own) - int(np.ceil(similarity * len(own) - 1e-9)) + 1]
 
 
+def set_fingerprint(own: np.ndarray) -> int:
+    """Unsigned 64-bit fingerprint of a set of 64-bit hashes: a bit is one if over half of them have it."""
+    ones = np.zeros(64, np.int64)
+    for lo in range(0, len(own), 4096):
+        ones += np.unpackbits(own[lo : lo + 4096].astype(">u8").view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.uint32)
+    return int.from_bytes(np.packbits(2 * ones > len(own)).tobytes(), "big")
+
+
+def _fingerprint_pairs(prints: DataFrame) -> DataFrame:
+    """Distinct pairs (a, b), a < b, of texts (t, fp): those of a fingerprint with its least text, and the least texts of linked fingerprints."""
+    distinct = cut(prints.groupBy("fp").agg(F.min("t").alias("head"), F.count("*").alias("many")))
+    same = skew_join(prints, distinct, ["fp"], "many", F.col("t")).where("t <> head").select(F.col("head").alias("a"), F.col("t").alias("b"))
+    head = lambda fp, name: distinct.select(F.col("fp").alias(fp), F.col("head").alias(name))
+    linked = links(distinct.select("fp"), distinct.count()).join(head("a", "x"), "a").join(head("b", "y"), "b")
+    return cut(same.unionByName(linked.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))))
+
+
 def _prefixes(own: DataFrame, similarity: float, common: np.ndarray) -> DataFrame:
     """(h, t, n): prefix shingles of the sets, and the sets' sizes."""
 
@@ -573,17 +592,20 @@ def _similar(pairs: DataFrame, own: DataFrame, similarity: float) -> DataFrame:
 def similar_classes(docs: DataFrame, shingle: int, similarity: float) -> DataFrame:
     """(th, root): hashes of the distinct texts and of the least text of their class; texts link by Jaccard similarity.
 
-    Each text is first compared with the least text of each of its prefix shingles,
+    Texts whose fingerprints link are compared first, then each text with the least text of each of its prefix shingles,
     then with the closest of another class there, then with all that are in another class still. Null, empty and blank
     texts have no shingles and are equal.
     """
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "text"):
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([pack(x) for x in shingle_sets(batch.column(1), shingle)], pa.binary())], names=["t", "s"])
+            found = shingle_sets(batch.column(1), shingle)
+            prints = np.array([set_fingerprint(x) for x in found], np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([pack(x) for x in found], pa.binary()), pa.array(prints)], names=["t", "s", "fp"])
 
     rows = small_batches(docs).select(F.xxhash64("text").alias("t"), F.coalesce("text", F.lit("")).alias("text"))
-    own = cut(rows.dropDuplicates(["t"]).mapInArrow(sets, "t long, s binary"))
+    made = cut(rows.dropDuplicates(["t"]).mapInArrow(sets, "t long, s binary, fp long"))
+    own, printed = made.select("t", "s"), _fingerprint_pairs(made.where(F.length("s") > 0).select("t", "fp"))
     # the order may put any shingles last, so a part of the texts is enough to name common ones
     part, everything = 8, own.count()
     sketches = cut(_sketches(own))
@@ -601,6 +623,7 @@ def similar_classes(docs: DataFrame, shingle: int, similarity: float) -> DataFra
     blank = own.where(F.length("s") == 0).select("t")
     blank = blank.crossJoin(F.broadcast(blank.agg(F.min("t").alias("a")))).where("t <> a").select("a", F.col("t").alias("b"))
     # a is the least text of a star; its set is sent once a part
+    heads = printed.unionByName(heads).distinct()
     sure = cut(_similar(_possible(heads, sketches, similarity), own, similarity).unionByName(blank))
     tried = heads
     # the closest text of another class first: it mostly joins the classes, and few pairs are left for the whole comparison
