@@ -39,7 +39,7 @@ def test_networks_of_several_budgets_equal_those_trained_alone(spark):
         assert all(np.allclose(x, y, atol=1e-6) for x, y in zip(net.net.parameters(), alone.net.parameters()))
 
 
-def test_every_budget_has_every_estimator_(spark, monkeypatch):
+def test_every_budget_has_every_estimator_on_all_tuples(spark, monkeypatch):
     r, seen = relation(spark), {}
 
     def fitted(tuples, dic, start, share=1.0, **_):
@@ -56,3 +56,4 @@ def test_every_budget_has_every_estimator_(spark, monkeypatch):
         rows = experiments.queries()[query](spark, "").collect()
         assert {(x["estimator"], x["budget"]) for x in rows} == {(n, b) for n in names for b in budgets}
         assert all(x["latency_ms"] is not None for x in rows)
+    assert set(seen["shares"]) == {1.0}
