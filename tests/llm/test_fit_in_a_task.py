@@ -24,3 +24,24 @@ def test_without_labels(spark):
     docs = spark.createDataFrame([(1, "a b", "en")], "doc_id long, text string, lang string")
     labels = spark.createDataFrame([], "doc_id long, toxic int")
     assert toxicity.fit(docs, labels).constant == 0.5
+
+
+def test_all_labelled_rows_are_learnt_by_several_trainers(spark, monkeypatch):
+    """More rows than a trainer takes; each kind of text is marked by a word that few rows have."""
+    monkeypatch.setattr(toxicity, "TRAINER_ROWS", 1000)
+    marks = 300
+    rows = [(k, f"plain words here {k % 7} " + (f"vile{k // 2 % marks}" if k % 2 else f"mild{k // 2 % marks}"), "en") for k in range(12_000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string").repartition(4)
+    labels = spark.createDataFrame([(k, k % 2) for k in range(12_000)], "doc_id long, toxic int")
+    model = toxicity.fit(docs, labels)
+    assert model.rows == labels.where(~toxicity.held_out(toxicity.F.col("doc_id"), 5, 0)).count() > 9_000
+    wrong = toxicity.score(docs, model).where("held_out and predicted <> doc_id % 2").count()
+    assert wrong < 100
+
+
+def test_cutoffs_have_the_fewest_errors():
+    draw = toxicity.np.random.default_rng(3)
+    scores, labels = toxicity.np.round(draw.random(300), 2), draw.random(300) < 0.4
+    at = toxicity.np.unique(scores)
+    cuts = [*((at[1:] + at[:-1]) / 2), 0.5]
+    assert toxicity.best_cutoff(scores, labels) == min((int(((scores >= c) != labels).sum()), abs(c - 0.5), c) for c in cuts)[2]
